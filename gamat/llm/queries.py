@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import line_templates, mixing, packing, transport_stream, url_filters
+from . import jaccard_join, line_templates, mixing, packing, transport_stream, url_filters
 
 QUERIES = {
+    "op6_jaccard_join": jaccard_join.op6_jaccard_join,
     "op3_line_templates": line_templates.op3_line_templates,
     "op10_source_mixing": mixing.op10_source_mixing,
     "op2_url_filters": url_filters.op2_url_filters,
     "op4_best_fit_packing": packing.op4_best_fit_packing,
     "op7_media_columns": transport_stream.op7_media_columns,
 }
-ORACLES = {"op3_line_templates": line_templates.SQL, "op2_url_filters": url_filters.SQL}
+ORACLES = {"op6_jaccard_join": jaccard_join.SQL, "op3_line_templates": line_templates.SQL, "op2_url_filters": url_filters.SQL}
