@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import jaccard_join, kneser_ney, line_templates, mixing, packing, transport_stream, url_filters
+from . import byte_contexts, jaccard_join, kneser_ney, line_templates, mixing, packing, transport_stream, url_filters
 
 QUERIES = {
+    "op9_language_id": byte_contexts.op9_language_id,
     "op5_quality_classifier": kneser_ney.op5_quality_classifier,
     "op6_jaccard_join": jaccard_join.op6_jaccard_join,
     "op3_line_templates": line_templates.op3_line_templates,
