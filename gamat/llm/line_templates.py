@@ -20,58 +20,65 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import cut
+
 MIN_TOKENS, MIN_DOCS, LONG_LINE = 4, 3, 50
 DEPTH, WIDE, SALT = 2, 8, 32
 BLANK = r"[ \t\x0B\f\r]+"
 FIELD = r"(?<![^ \t\n\x0B\f\r])[^ \t\n\x0B\f\r0-9@]*[0-9@][^ \t\n\x0B\f\r]*"
 
 
-def masked_lines(text: Column) -> Column:
-    """Lines of a text with single blanks and wildcards for variable fields; as many as split(text, newline)."""
-    one = F.regexp_replace(F.regexp_replace(text, BLANK, " "), FIELD, "<*>")
-    return F.transform(F.split(one, "\n"), lambda x: F.trim(x))
+def masked(line: Column) -> Column:
+    """The line with single blanks and wildcards for variable fields; most lines have neither and stay as they are."""
+    odd = F.rlike(line, F.lit(r"[0-9@\t\x0B\f\r]| (?: |$)|^ "))
+    return F.when(odd, F.trim(F.regexp_replace(F.regexp_replace(line, BLANK, " "), FIELD, "<*>"))).otherwise(line)
+
+
+def bind(value: Column, use) -> Column:
+    """use(value), with the value computed once."""
+    return F.element_at(F.transform(F.array(value), use), 1)
 
 
-def templates(line: Column) -> Column:
-    """Digests of the templates of a masked line; the first one is the full template."""
+def tree_path(line: Column) -> Column:
+    """n: token count of a line; keys: digests of its templates, the first one being the full template."""
 
     def of(t: Column) -> Column:
         n, rest = F.size(t), F.size(t) - DEPTH
-        lead = F.slice(t, 1, DEPTH)
+        edge = lambda j: F.lit(DEPTH) + F.floor(rest * j / 4).cast("int")
+        quarter = lambda j: F.xxhash64(F.slice(t, edge(j) + 1, edge(j + 1) - edge(j)))
+        lead = F.xxhash64(n, F.slice(t, 1, DEPTH))
 
-        def without(j: int) -> Column:
-            a, b = F.lit(DEPTH) + F.floor(rest * j / 4).cast("int"), F.lit(DEPTH) + F.floor(rest * (j + 1) / 4).cast("int")
-            return F.xxhash64(n, F.lit(j), lead, F.slice(t, DEPTH + 1, a - DEPTH), F.slice(t, b + 1, n - b))
+        def wide(q: Column) -> Column:
+            part = [F.element_at(q, j + 1) for j in range(5)]
+            without = [F.xxhash64(F.lit(j), *[x for k, x in enumerate(part) if k != j + 1]) for j in range(4)]
+            return F.array(F.xxhash64(F.lit(-1), *part), *without)
 
-        full = F.xxhash64(n, F.lit(-1), t)
-        return F.when(n >= WIDE, F.array(full, *map(without, range(4)))).otherwise(F.array(full))
+        return F.struct(n.alias("n"), F.when(n >= WIDE, bind(F.array(lead, *map(quarter, range(4))), wide)).otherwise(F.array(F.xxhash64(F.lit(-2), t))).alias("keys"))
 
-    return F.element_at(F.transform(F.array(F.split(line, " ")), of), 1)
+    return bind(F.split(masked(line), " "), of)
 
 
-def marked(docs: DataFrame, min_tokens: int, long_line: int) -> DataFrame:
-    """doc_id and, for each different masked line that is long enough, its templates and whether it is long."""
-    lines = F.array_distinct(masked_lines(F.col("text")))
-    kept = F.filter(lines, lambda x: F.regexp_count(x, F.lit(" ")) >= min_tokens - 1)
-    each = F.transform(kept, lambda x: F.struct((F.regexp_count(x, F.lit(" ")) >= long_line - 1).alias("long"), templates(x).alias("keys")))
-    return docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()).select("doc_id", each.alias("lines"))
+def marked(docs: DataFrame, min_tokens: int) -> DataFrame:
+    """doc_id and, for each different line that is long enough, its token count and templates."""
+    lines = F.array_distinct(F.filter(F.transform(F.split("text", "\n"), tree_path), lambda x: x["n"] >= min_tokens))
+    return docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()).select("doc_id", lines.alias("lines"))
 
 
-def recurring(docs: DataFrame, min_tokens: int = MIN_TOKENS, min_docs: int = MIN_DOCS, long_line: int = LONG_LINE) -> DataFrame:
-    """key, first: digests of the recurring templates and the document that keeps them."""
-    m = marked(docs, min_tokens, long_line)
-    # One row per template and document, so that rows are documents; a template's lines have one token count.
-    keys = m.select("doc_id", F.explode(F.array_distinct(F.flatten(F.transform("lines", lambda x: F.transform(x["keys"], lambda k: F.struct(k.alias("key"), x["long"].alias("long"))))))).alias("t"))
-    found = keys.groupBy("t.key").agg(F.count("*").alias("n"), F.min("doc_id").alias("first"), F.max("doc_id").alias("last"), F.max("t.long").alias("long"))
-    return found.where((F.col("first") != F.col("last")) & ((F.col("n") >= min_docs) | F.col("long"))).select("key", "first")
+def recurring(found: DataFrame, min_docs: int = MIN_DOCS, long_line: int = LONG_LINE) -> DataFrame:
+    """key, first: digests of the recurring templates of found(doc_id, lines) and the document that keeps them."""
+    # One row per template and document, so that rows are documents; all lines of a template have one token count.
+    pairs = F.array_distinct(F.flatten(F.transform("lines", lambda x: F.transform(x["keys"], lambda k: F.struct(k.alias("key"), (x["n"] >= long_line).alias("long"))))))
+    keys = found.select("doc_id", F.explode(pairs).alias("t"))
+    by = keys.groupBy("t.key").agg(F.count("*").alias("n"), F.min("doc_id").alias("first"), F.max("doc_id").alias("last"), F.max("t.long").alias("long"))
+    return by.where((F.col("first") != F.col("last")) & ((F.col("n") >= min_docs) | F.col("long"))).select("key", "first")
 
 
 def dropped_lines(docs: DataFrame, min_tokens: int = MIN_TOKENS, min_docs: int = MIN_DOCS, long_line: int = LONG_LINE) -> DataFrame:
     """doc_id, drop: full-template digests of the lines that each document loses."""
-    again = recurring(docs, min_tokens, min_docs, long_line)
+    found = cut(marked(docs, min_tokens))
     # A hot template is dealt out by document, SALT ways; the recurring templates are repeated for that.
-    again = again.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))))
-    lines = marked(docs, min_tokens, long_line).select("doc_id", F.explode("lines").alias("l"))
+    again = recurring(found, min_docs, long_line).withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))))
+    lines = found.select("doc_id", F.explode("lines").alias("l"))
     lines = lines.select("doc_id", F.col("l.keys")[0].alias("line"), F.explode("l.keys").alias("key"), F.pmod(F.xxhash64("doc_id"), F.lit(SALT)).cast("int").alias("salt"))
     hits = lines.join(again, ["key", "salt"]).where(F.col("doc_id") != F.col("first"))
     return hits.groupBy("doc_id").agg(F.collect_set("line").alias("drop"))
@@ -81,26 +88,25 @@ def dedup_lines(docs: DataFrame, min_tokens: int = MIN_TOKENS, min_docs: int = M
     """All rows and columns of docs(doc_id, text, ...) in __row, with __lines, __dropped and the remaining __text."""
     drop = dropped_lines(docs.select("doc_id", "text"), min_tokens, min_docs, long_line)
     both = docs.select(F.struct("*").alias("__row"), F.col("doc_id").alias("__id")).join(drop.select(F.col("doc_id").alias("__id"), F.col("drop").alias("__drop")), "__id", "left")
-    text = F.col("__row.text")
-    lines = F.split(text, "\n")
-    full = lambda x: F.element_at(templates(x), 1)
-    long_enough = lambda x: F.regexp_count(x, F.lit(" ")) >= min_tokens - 1
-    stays = F.transform(masked_lines(text), lambda x: ~(long_enough(x) & F.array_contains("__drop", full(x))))
-    both = both.withColumn("__stays", F.when(F.col("__drop").isNotNull(), stays))
-    rest = F.transform(F.filter(F.arrays_zip(lines.alias("line"), F.col("__stays").alias("stays")), lambda x: x["stays"]), lambda x: x["line"])
+    text, none = F.col("__row.text"), F.col("__drop").isNull()
+
+    def stays(line: Column) -> Column:
+        return ~bind(tree_path(line), lambda p: (p["n"] >= min_tokens) & F.array_contains("__drop", F.element_at(p["keys"], 1)))
+
+    kept = F.when(~none, F.filter(F.split(text, "\n"), stays))
+    both = both.withColumn("__kept", kept).withColumn("__lines", F.when(text.isNull(), 0).otherwise(F.size(F.split(text, "\n"))))
     return both.select(
         "__row",
-        F.coalesce(F.size(F.when(text.isNotNull(), lines)), F.lit(0)).alias("__lines"),
-        F.coalesce(F.size(F.filter("__stays", lambda x: ~x)), F.lit(0)).alias("__dropped"),
-        F.when(F.col("__drop").isNull(), text).otherwise(F.array_join(rest, "\n")).alias("__text"),
+        "__lines",
+        F.when(none, 0).otherwise(F.col("__lines") - F.size("__kept")).alias("__dropped"),
+        F.when(none, text).otherwise(F.array_join("__kept", "\n")).alias("__text"),
     )
 
 
 def op3_line_templates(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     out = dedup_lines(docs)
-    at = lambda c: F.when(F.col(c) < 0, 0).otherwise(F.col(c)).cast("long")
-    return out.select("__row.doc_id", at("__lines").alias("n_lines"), at("__dropped").alias("n_dropped"), F.col("__text").alias("text"))
+    return out.select("__row.doc_id", F.col("__lines").cast("long").alias("n_lines"), F.col("__dropped").cast("long").alias("n_dropped"), F.col("__text").alias("text"))
 
 
 SQL = r"""

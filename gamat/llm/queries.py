@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import byte_contexts, jaccard_join, kneser_ney, line_templates, lookup_sketch, mixing, packing, transport_stream, url_filters
+from . import byte_contexts, jaccard_join, kneser_ney, line_templates, lookup_sketch, mixing, packing, skip_chain, transport_stream, url_filters
 
 QUERIES = {
+    "op1_skip_chain": skip_chain.op1_skip_chain,
     "op8_lookup_sketch": lookup_sketch.op8_lookup_sketch,
     "op9_language_id": byte_contexts.op9_language_id,
     "op5_quality_classifier": kneser_ney.op5_quality_classifier,
