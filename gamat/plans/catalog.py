@@ -1,4 +1,6 @@
 """All queries of the engine with their oracles."""
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from . import queries_matrix  # noqa: F401
+from .registry import ORACLES, QUERIES
+
+__all__ = ["ORACLES", "QUERIES"]
