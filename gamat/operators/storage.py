@@ -42,11 +42,12 @@ def unpack(packed: DataFrame, n: int, uplo: str = "L", **meta) -> GraphMatrix:
     return GraphMatrix(d.select(F.col(a).alias("dst"), F.col(b).alias("src"), "w"), MatrixMeta(n, n, storage="packed", uplo=uplo, **meta))
 
 
-def from_band(band: DataFrame, n_rows: int, n_cols: int, kl: int, ku: int) -> GraphMatrix:
-    """Edges of band storage (i, d = column - row, w). Cells outside the band are an error, raised when they are read."""
+def from_band(band: DataFrame, n_rows: int, n_cols: int, kl: int, ku: int, check: bool = True) -> GraphMatrix:
+    """Edges of band storage (i, d = column - row, w). Cells outside the band are an error; the check scans i and d once."""
     bad = (F.col("d") < -kl) | (F.col("d") > ku) | (F.col("i") + F.col("d") < 0) | (F.col("i") + F.col("d") >= n_cols)
-    checked = F.when(bad, F.raise_error(F.concat(F.lit("cell outside the band: row "), F.col("i"), F.lit(", diagonal "), F.col("d")))).otherwise(F.col("i") + F.col("d"))
-    e = band.select(F.col("i").alias("dst"), checked.cast("bigint").alias("src"), "w")
+    if check and (outside := band.where(bad).count()):
+        raise MatrixError(f"{outside} cells outside the band")
+    e = band.select(F.col("i").alias("dst"), (F.col("i") + F.col("d")).cast("bigint").alias("src"), "w")
     return GraphMatrix(e, MatrixMeta(n_rows, n_cols, storage="band", kl=kl, ku=ku, structure=frozenset({"banded"})))
 
 
