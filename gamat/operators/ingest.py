@@ -59,7 +59,7 @@ def detect(df: DataFrame, column: str) -> Detection:
     if a != b:
         return Detection(False, n, None, None, f"rows of {a} to {b} elements")
     kind = numeric_type(df, column)
-    if kind is None and df.schema[column].dataType == T.ArrayType(T.StringType()):
+    if kind is None and isinstance(df.schema[column].dataType, T.ArrayType) and isinstance(df.schema[column].dataType.elementType, T.StringType):
         t = text_type(df, column).first()
         kind = "bigint" if t["integers"] == t["n_cells"] else "double" if t["numbers"] == t["n_cells"] else None
     if kind is None:

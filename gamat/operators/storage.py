@@ -28,15 +28,15 @@ def mirror_hermitian(gm: GraphMatrix) -> GraphMatrix:
 def pack(gm: GraphMatrix, uplo: str = "L") -> DataFrame:
     """k, w: position in the packed triangle. Lower row by row: k = i (i + 1) / 2 + j; upper: rows and columns swapped."""
     i, j = (F.col("dst"), F.col("src")) if uplo == "L" else (F.col("src"), F.col("dst"))
-    return gm.edges.where(j <= i).select((F.floor(i * (i + 1) / 2) + j).alias("k"), "w")
+    return gm.edges.where(j <= i).select((F.shiftright(i * (i + 1), 1) + j).alias("k"), "w")
 
 
 def unpack(packed: DataFrame, n: int, uplo: str = "L", **meta) -> GraphMatrix:
     """Inverse of `pack`; the row from a square root is corrected by one where rounding misses."""
     k = F.col("k")
-    start = lambda r: (r * (r + 1) / 2).cast("bigint")
+    start = lambda r: F.shiftright(r * (r + 1), 1)
     guess = F.floor((F.sqrt(8.0 * k + 1.0) - 1.0) / 2.0)
-    row = guess + F.when(start(guess + 1) <= k, 1).when(start(guess) > k, -1).otherwise(0)
+    row = guess.cast("bigint") + F.when(start(guess + 1) <= k, 1).when(start(guess) > k, -1).otherwise(0)
     d = packed.select(k, row.cast("bigint").alias("i"), "w").select("i", (k - start(F.col("i"))).alias("j"), "w")
     a, b = ("i", "j") if uplo == "L" else ("j", "i")
     return GraphMatrix(d.select(F.col(a).alias("dst"), F.col(b).alias("src"), "w"), MatrixMeta(n, n, storage="packed", uplo=uplo, **meta))

@@ -19,14 +19,16 @@ def read_dense_text(spark: SparkSession, path: str, sep: str = ",") -> DataFrame
 
 
 def read_coordinate(spark: SparkSession, path: str) -> GraphMatrix:
-    """Coordinate exchange format: % comments, a size line, then 1-based "row column value" lines."""
-    lines = spark.read.text(path).where(~F.startswith("value", F.lit("%")) & (F.trim("value") != ""))
-    parts = lines.select(F.split(F.trim("value"), r"\s+").alias("p"), F.monotonically_increasing_id().alias("i"))
-    head = parts.orderBy("i").first()
-    if head is None or len(head["p"]) < 3:
-        raise MatrixError("no size line")
-    rows, cols = int(head["p"][0]), int(head["p"][1])
-    cells = parts.where(F.col("i") != head["i"])
+    """Coordinate exchange format: a %% banner, % comments, a size line, then 1-based "row column value" lines. `path` may be
+    a folder of parts; the size line is the first one after the banner in its file."""
+    lines = spark.read.text(path).where(F.trim("value") != "").select(F.trim("value").alias("v"), F.input_file_name().alias("f"), F.monotonically_increasing_id().alias("i"))
+    banner = lines.where(F.startswith("v", F.lit("%%"))).orderBy("f", "i").first()
+    plain = lines.where(~F.startswith("v", F.lit("%")))
+    head = banner and plain.where((F.col("f") == banner["f"]) & (F.col("i") > banner["i"])).orderBy("i").first()
+    if not head or len(head["v"].split()) < 3:
+        raise MatrixError("no banner with a size line")
+    rows, cols = map(int, head["v"].split()[:2])
+    cells = plain.where((F.col("f") != head["f"]) | (F.col("i") != head["i"])).select(F.split("v", r"\s+").alias("p"))
     at = lambda k: F.element_at("p", k)
     edges = cells.select((at(1).cast("bigint") - 1).alias("dst"), (at(2).cast("bigint") - 1).alias("src"), at(3).cast("double").alias("w"))
     return GraphMatrix(edges, MatrixMeta(rows, cols, "double"))
