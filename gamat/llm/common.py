@@ -5,8 +5,12 @@ from __future__ import annotations
 import tempfile
 import uuid
 
+import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -29,6 +33,16 @@ def cut(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def discard(*tables: DataFrame) -> None:
+    """Delete tables written by `cut` once everything made of them has been written itself."""
+    for df in tables:
+        spark = df.sparkSession
+        for name in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+            if "/gamat-" in name:
+                path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(name)
+                path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -47,3 +61,24 @@ def join_small(left: DataFrame, right: DataFrame, on, how: str, limit: int) -> D
 
 def text_or_empty(name: str = "text") -> Column:
     return F.coalesce(F.col(name), F.lit(""))
+
+
+def map_slices(df: DataFrame, fn, schema: str, rows: int = 512) -> DataFrame:
+    """Like mapInPandas, but fn sees frames of at most `rows` rows, whatever the size of the batches that arrive: only that
+    many texts are Python strings at a time. Integer columns keep nulls and all their digits."""
+    target = to_arrow_schema(StructType.fromDDL(schema))
+    names = df.columns
+
+    def run(batches):
+        def small():
+            for b in batches:
+                for at in range(0, b.num_rows, rows):
+                    part = b.slice(at, rows).to_pandas(types_mapper={pa.int64(): pd.Int64Dtype(), pa.int32(): pd.Int32Dtype()}.get)
+                    part.columns = names
+                    yield part
+
+        for out in fn(small()):
+            if len(out):
+                yield pa.RecordBatch.from_pandas(out, schema=target, preserve_index=False)
+
+    return df.mapInArrow(run, schema)

@@ -20,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, discard
 
 MIN_TOKENS, MIN_DOCS, LONG_LINE = 4, 3, 50
 DEPTH, WIDE, SALT = 2, 8, 32
@@ -39,8 +39,10 @@ def bind(value: Column, use) -> Column:
     return F.element_at(F.transform(F.array(value), use), 1)
 
 
-def tree_path(line: Column) -> Column:
-    """n: token count of a line; keys: digests of its templates, the first one being the full template."""
+def tree_path(line: Column, long_line: int = LONG_LINE) -> Column:
+    """n: token count of a line; keys: digests of its templates, the first one being the full template.
+
+    The last bit of a digest says whether the template's lines are long: all of them have the same token count."""
 
     def of(t: Column) -> Column:
         n, rest = F.size(t), F.size(t) - DEPTH
@@ -53,35 +55,39 @@ def tree_path(line: Column) -> Column:
             without = [F.xxhash64(F.lit(j), *[x for k, x in enumerate(part) if k != j + 1]) for j in range(4)]
             return F.array(F.xxhash64(F.lit(-1), *part), *without)
 
-        return F.struct(n.alias("n"), F.when(n >= WIDE, bind(F.array(lead, *map(quarter, range(4))), wide)).otherwise(F.array(F.xxhash64(F.lit(-2), t))).alias("keys"))
+        keys = F.when(n >= WIDE, bind(F.array(lead, *map(quarter, range(4))), wide)).otherwise(F.array(F.xxhash64(F.lit(-2), t)))
+        mark = F.when(n >= long_line, 1).otherwise(0).cast("long")
+        return F.struct(n.alias("n"), F.transform(keys, lambda k: k.bitwiseAND(F.lit(-2)).bitwiseOR(mark)).alias("keys"))
 
     return bind(F.split(masked(line), " "), of)
 
 
-def marked(docs: DataFrame, min_tokens: int) -> DataFrame:
+def marked(docs: DataFrame, min_tokens: int, long_line: int) -> DataFrame:
     """doc_id and, for each different line that is long enough, its token count and templates."""
-    lines = F.array_distinct(F.filter(F.transform(F.split("text", "\n"), tree_path), lambda x: x["n"] >= min_tokens))
+    lines = F.filter(F.transform(F.array_distinct(F.split("text", "\n")), lambda x: tree_path(x, long_line)), lambda x: x["n"] >= min_tokens)
     return docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()).select("doc_id", lines.alias("lines"))
 
 
-def recurring(found: DataFrame, min_docs: int = MIN_DOCS, long_line: int = LONG_LINE) -> DataFrame:
+def recurring(found: DataFrame, min_docs: int = MIN_DOCS) -> DataFrame:
     """key, first: digests of the recurring templates of found(doc_id, lines) and the document that keeps them."""
-    # One row per template and document, so that rows are documents; all lines of a template have one token count.
-    pairs = F.array_distinct(F.flatten(F.transform("lines", lambda x: F.transform(x["keys"], lambda k: F.struct(k.alias("key"), (x["n"] >= long_line).alias("long"))))))
-    keys = found.select("doc_id", F.explode(pairs).alias("t"))
-    by = keys.groupBy("t.key").agg(F.count("*").alias("n"), F.min("doc_id").alias("first"), F.max("doc_id").alias("last"), F.max("t.long").alias("long"))
-    return by.where((F.col("first") != F.col("last")) & ((F.col("n") >= min_docs) | F.col("long"))).select("key", "first")
+    # One row per template and document, so that rows are documents.
+    keys = found.select("doc_id", F.explode(F.array_distinct(F.flatten("lines.keys"))).alias("key"))
+    by = keys.groupBy("key").agg(F.count("*").alias("n"), F.min("doc_id").alias("first"), F.max("doc_id").alias("last"))
+    long = F.col("key").bitwiseAND(F.lit(1)) == 1
+    return by.where((F.col("first") != F.col("last")) & ((F.col("n") >= min_docs) | long)).select("key", "first")
 
 
 def dropped_lines(docs: DataFrame, min_tokens: int = MIN_TOKENS, min_docs: int = MIN_DOCS, long_line: int = LONG_LINE) -> DataFrame:
     """doc_id, drop: full-template digests of the lines that each document loses."""
-    found = cut(marked(docs, min_tokens))
+    found = cut(marked(docs, min_tokens, long_line))
     # A hot template is dealt out by document, SALT ways; the recurring templates are repeated for that.
-    again = recurring(found, min_docs, long_line).withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))))
+    again = recurring(found, min_docs).withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))))
     lines = found.select("doc_id", F.explode("lines").alias("l"))
     lines = lines.select("doc_id", F.col("l.keys")[0].alias("line"), F.explode("l.keys").alias("key"), F.pmod(F.xxhash64("doc_id"), F.lit(SALT)).cast("int").alias("salt"))
     hits = lines.join(again, ["key", "salt"]).where(F.col("doc_id") != F.col("first"))
-    return hits.groupBy("doc_id").agg(F.collect_set("line").alias("drop"))
+    drop = cut(hits.groupBy("doc_id").agg(F.collect_set("line").alias("drop")))
+    discard(found)
+    return drop
 
 
 def dedup_lines(docs: DataFrame, min_tokens: int = MIN_TOKENS, min_docs: int = MIN_DOCS, long_line: int = LONG_LINE) -> DataFrame:
@@ -91,7 +97,7 @@ def dedup_lines(docs: DataFrame, min_tokens: int = MIN_TOKENS, min_docs: int = M
     text, none = F.col("__row.text"), F.col("__drop").isNull()
 
     def stays(line: Column) -> Column:
-        return ~bind(tree_path(line), lambda p: (p["n"] >= min_tokens) & F.array_contains("__drop", F.element_at(p["keys"], 1)))
+        return ~bind(tree_path(line, long_line), lambda p: (p["n"] >= min_tokens) & F.array_contains("__drop", F.element_at(p["keys"], 1)))
 
     kept = F.when(~none, F.filter(F.split(text, "\n"), stays))
     both = both.withColumn("__kept", kept).withColumn("__lines", F.when(text.isNull(), 0).otherwise(F.size(F.split(text, "\n"))))
