@@ -217,27 +217,26 @@ def mm_as_mvs(a: GraphMatrix, b: GraphMatrix) -> GraphMatrix:
 def mm_blocks(a: GraphMatrix, b: GraphMatrix, size: int = 256) -> GraphMatrix:
     """Dense product by blocks: blocks of A and B with the same inner index meet, NumPy multiplies them over Arrow, and
     the partial blocks fold. A task holds two blocks and their product at a time."""
-    left = storage.to_blocks(a, size).select("bi", F.col("bj").alias("bk"), F.col("cells").alias("x"))
-    right = storage.to_blocks(b, size).select(F.col("bi").alias("bk"), "bj", F.col("cells").alias("y"))
+    left = storage.to_blocks(a, size).select("bi", F.col("bj").alias("bk"), *[F.col(f"cells.{c}").alias(f"x{c}") for c in "ijw"])
+    right = storage.to_blocks(b, size).select(F.col("bi").alias("bk"), "bj", *[F.col(f"cells.{c}").alias(f"y{c}") for c in "ijw"])
     whole = dict(a.edges.dtypes)["w"] == "bigint" and dict(b.edges.dtypes)["w"] == "bigint"
     kind = "bigint" if whole else "double"
 
-    def dense(cells) -> np.ndarray:
+    def dense(i, j, w) -> np.ndarray:
         out = np.zeros((size, size), np.int64 if whole else np.float64)
-        for c in cells:
-            out[c["i"], c["j"]] = c["w"]
+        out[i, j] = w
         return out
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            for bi, bj, x, y in zip(batch["bi"], batch["bj"], batch["x"], batch["y"], strict=True):
-                p, q = dense(x), dense(y)
+            for bi, bj, xi, xj, xw, yi, yj, yw in batch.itertuples(index=False, name=None):
+                p, q = dense(xi, xj, xw), dense(yi, yj, yw)
                 exact = whole and float(np.abs(p).max()) * float(np.abs(q).max()) * size < 2**52
                 r = (p.astype(np.float64) @ q.astype(np.float64)).round().astype(np.int64) if exact else p @ q
                 i, j = np.nonzero(r)
                 yield pd.DataFrame({"dst": bi * size + i.astype(np.int64), "src": bj * size + j.astype(np.int64), "w": r[i, j]})
 
-    parts = left.join(right, "bk").select("bi", "bj", "x", "y").mapInPandas(run, f"dst bigint, src bigint, w {kind}")
+    parts = left.join(right, "bk").select("bi", "bj", "xi", "xj", "xw", "yi", "yj", "yw").mapInPandas(run, f"dst bigint, src bigint, w {kind}")
     return GraphMatrix(apply_edges(parts), MatrixMeta(a.meta.n_rows, b.meta.n_cols))
 
 

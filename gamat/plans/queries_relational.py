@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions import cx, ids, udf, vec
-from ..operators import apps, baselines, chain, comm, features, ingest, joins, models, ops, reorder, storage
+from ..operators import apps, balance, baselines, cache, chain, comm, features, ingest, joins, models, ops, reorder, storage
 from ..operators.superstep import gather
 from ..sources import fixtures as fx
 from ..sources import io
@@ -731,3 +731,48 @@ def _(spark, d):
 @query("strategy_irregular", sql=W("mx2", "par") + " select dst id, cast(sum(w * s) as bigint) s from mx2 join par on id = src group by 1")
 def _(spark, d):
     return ops.mv(fx.mx2(spark, d), fx.part_cents(spark, d), strategy=Strategy(hub_broadcast=64, split_cap=10, split_mode="hash"))
+
+
+# Larger kinetics, measures --------------------------------------------------------------------------------------------
+
+for _species in (512, 1024, 2000):
+
+    @query(f"app_heat_{_species}", sql=HEAT.replace(str(SPECIES), str(_species)) + " select dst id, cast(sum(w * s) as bigint) s from t join p0 on id = src group by 1")
+    def _(spark, d, species=_species):
+        """Heat capacity of a mixture of many species: the dense co-supply matrix is built and applied in blocks."""
+        return apps.heat_capacity(*heat(spark, d, species), steps=1)
+
+
+@query("trace", sql=W("mx6") + " select cast(sum(w) as bigint) trace from mx6 where dst = src")
+def _(spark, d):
+    return features.norms(fx.mx6(spark, d)).select("trace")
+
+
+@query("balance_plan", sql=DEG + " select sum(edges)::bigint edges, true as fits from (select part, sum(degree) edges from p group by 1)")
+def _(spark, d):
+    """Partition loads of mx1 by blocks of rows, piled on the first parts, and what is left of the peak after migration."""
+    a = fx.mx1(spark, d)
+    rows = a.edges.groupBy(F.floor(F.col("dst") / 50).alias("b")).agg(F.count("*").alias("n")).collect()  # one per bucket
+    loads: dict[int, dict[int, float]] = {p: {} for p in range(8)}
+    for r in rows:
+        loads[0 if r["b"] % 3 else r["b"] % 8][r["b"]] = float(r["n"])
+    before = max(sum(b.values()) for b in loads.values())
+    moves = balance.plan(loads, seconds_per_unit=1e-6, seconds_per_byte=1e-9)
+    size = {b: n for p in loads.values() for b, n in p.items()}
+    total = {p: sum(b.values()) for p, b in loads.items()}
+    for m in moves:
+        total[m.source] -= size[m.bucket]
+        total[m.target] += size[m.bucket]
+    return spark.createDataFrame([(int(sum(total.values())), max(total.values()) < before)], "edges bigint, fits boolean")
+
+
+@query("cache_stats")
+def _(spark, d):
+    c = cache.GraphCache()
+    key = cache.fingerprint(spark, f"{d}/lineitem.parquet", ["l_partkey", "l_suppkey", "l_quantity"], "coo")
+    x = fx.supplier_cents(spark, d)
+    for _ in range(3):
+        ops.mv(c.get_or_build(key, lambda: fx.mx1(spark, d)), x).df.count()
+    out = c.stats(spark).select("key", "uses", (F.col("seconds_per_use") <= F.col("convert_seconds")).alias("amortised"))
+    c.evict()
+    return out
