@@ -25,6 +25,8 @@ from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import map_slices
+
 DEPTH, SAMPLE, CHUNK = 4, 1500, 1 << 20
 LETTER = re.compile(r"[^\W\d_]")
 
@@ -63,7 +65,7 @@ def count_bytes(docs: DataFrame) -> DataFrame:
         for lang in list(held):
             yield flush(lang)
 
-    return docs.select("lang", "text").mapInPandas(run, "lang string, k long, c long").groupBy("lang", "k").agg(F.sum("c").alias("c"))
+    return map_slices(docs.select("lang", "text"), run, "lang string, k long, c long").groupBy("lang", "k").agg(F.sum("c").alias("c"))
 
 
 class HashIndex:
@@ -203,7 +205,7 @@ def identify(docs: DataFrame, model: ContextTrees | None) -> DataFrame:
             settle()
             yield pd.DataFrame({"doc_id": b["doc_id"], "held_out": b["held_out"], "lang_pred": pred, "score": score, "bits_per_byte": rate})
 
-    return docs.select("doc_id", held_out().alias("held_out"), "text").mapInPandas(run, "doc_id long, held_out boolean, lang_pred string, score double, bits_per_byte double")
+    return map_slices(docs.select("doc_id", held_out().alias("held_out"), "text"), run, "doc_id long, held_out boolean, lang_pred string, score double, bits_per_byte double")
 
 
 def op9_language_id(spark, sf_dir: str) -> DataFrame:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, discard
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -23,7 +23,9 @@ def components(links: DataFrame) -> DataFrame:
         # The smaller end of a link may have a smaller neighbour itself: go there at once.
         jump = cut(step.join(step.select(F.col("v").alias("p"), F.col("p").alias("q")), "p", "left").select("v", F.coalesce("q", "p").alias("p")))
         move = lambda df, c: df.join(jump.select(F.col("v").alias(c), F.col("p").alias("moved")), c, "left").withColumn(c, F.coalesce("moved", c)).drop("moved")  # noqa: E731,B023
+        old = roots, links, step, jump
         roots = cut(move(roots, "root"))
         links = move(move(links, "a"), "b")
         links = cut(links.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a <> b").distinct())
+        discard(*old)
     return roots

@@ -10,11 +10,13 @@ without node objects. A query walks it once: overlaps of a shared beginning are
 overlap so far plus what can still come (of the query or of the longest set below) is too small, the whole subtree goes.
 
 Which sets meet in a tree:
-  1. Stars: classes with the same minimum under one of KEYS hash functions meet the first of them. Whatever is
-     linked there becomes one group, so large groups of near copies are never paired with each other.
+  1. Stars: classes with the same two minima under a pair of hash functions meet one of them. Whatever is linked there
+     becomes one group, so large groups of near copies are never paired with each other.
   2. The rest, exactly: two linked sets share a shingle within the first n - ceil(3n/4) + 1 of their global order.
      Classes of different groups that do, and pass the length and remaining-length bounds there, meet in a tree.
-Trees are dealt out in blocks of at most BLOCK members. Groups are components of the links found (on the executors).
+In the second step the classes of the smaller group walk the tree of the whole other group, so what is sent grows with
+classes and groups, not with pairs of them. Trees come in parts of about BLOCK members. Groups are the components of the
+links found, computed on the executors.
 
 Null or blank text: empty set, linked with nothing, its own component. Repeated rows are copies of each other; a null
 doc_id never names a component unless it is alone. Other columns are ignored; an empty table gives an empty result.
@@ -29,14 +31,18 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, discard, map_slices
 from .components import components
 from .word_sets import GOLD, Shingler, mix, set_digest
 
-SIZE, KEYS, BLOCK, SALT = 5, 3, 256, 32
-BUCKETS, FLUSH = 1 << 20, 4_000_000
+SIZE, BLOCK, SALT = 5, 256, 32
+#: Pairs of hash functions whose two minima make a key: unrelated sets hardly ever share one.
+KEYS = ((0, 1), (2, 3), (0, 3), (1, 2))
+BUCKETS, FLUSH = 1 << 20, 2_000_000
 #: Largest tables that are broadcast, in rows (16 bytes each); beyond that the same rows are joined by a shuffle.
 SMALL = 4_000_000
+#: Stands for a null doc_id in arrays.
+NOBODY = -(2**63)
 
 
 def needed(n: int, m: np.ndarray) -> np.ndarray:
@@ -70,8 +76,8 @@ class PrefixTree:
             differ = np.flatnonzero(a[:n] != b[:n])
             self.shared[i] = int(differ[0]) if len(differ) else n
 
-    def linked(self, query: np.ndarray) -> list[tuple[int, int]]:
-        """(index, overlap) of all stored sets that are linked with the query."""
+    def linked(self, query: np.ndarray, first_only: bool = False) -> list[tuple[int, int]]:
+        """(index, overlap) of all stored sets that are linked with the query, or of one of them."""
         out, sorted_query, i, n = [], np.sort(query), 0, len(query)
         sizes = np.array([len(s) for s in self.sets])
         need = needed(n, sizes)
@@ -93,6 +99,8 @@ class PrefixTree:
             partial = np.concatenate((partial[: known + 1], partial[known] + np.cumsum(hit)))
             if partial[-1] >= need[i]:
                 out.append((self.at[i], int(partial[-1])))
+                if first_only:
+                    return out
             j = i + 1
             while j < len(self.sets):  # subtrees below a beginning that already lacks too much
                 k = min(self.shared[j], len(partial) - 1)
@@ -106,12 +114,18 @@ class PrefixTree:
         return out
 
 
+def joined(minima: list[np.uint64]) -> list[int]:
+    """The keys of a set from its minima."""
+    m = np.array(minima)
+    return [int(x) for x in mix(m[[i for i, _ in KEYS]] * np.uint64(GOLD) + m[[j for _, j in KEYS]]).view(np.int64)]
+
+
 def first_pass(docs: DataFrame) -> DataFrame:
     """Per document: doc_id, klass, n, keys; and, in rows of their own, bucket and hits of shingles seen repeatedly."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingler, held, size, known = Shingler(SIZE), [], 0, set()
-        salts = [mix(np.array([j + 1], np.uint64) * np.uint64(GOLD))[0] for j in range(KEYS)]
+        salts = [mix(np.array([j + 1], np.uint64) * np.uint64(GOLD))[0] for j in range(4)]
 
         def flush():
             values, counts = np.unique(np.concatenate(held), return_counts=True)
@@ -123,7 +137,7 @@ def first_pass(docs: DataFrame) -> DataFrame:
         for b in batches:
             sets = shingler.sets(b["text"].tolist())
             classes = [set_digest(s) for s in sets]
-            keys = [[int(mix(s ^ k).min().astype(np.int64)) for k in salts] if len(s) else [] for s in sets]
+            keys = [joined([mix(s ^ k).min() for k in salts]) if len(s) else [] for s in sets]
             yield pd.DataFrame({"doc_id": b["doc_id"], "klass": classes, "n": [len(s) for s in sets], "keys": keys, "bucket": None, "hits": None})
             for s, c in zip(sets, classes, strict=True):
                 if len(s) and c not in known:
@@ -138,18 +152,18 @@ def first_pass(docs: DataFrame) -> DataFrame:
         if held:
             yield flush()
 
-    return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, klass long, n long, keys array<long>, bucket long, hits long")
+    return map_slices(docs.select("doc_id", "text"), run, "doc_id long, klass long, n long, keys array<long>, bucket long, hits long")
 
 
-def lookup(df: DataFrame, key: str, value: str | None = None):
-    """Broadcast of (sorted keys, their values) if there are at most SMALL rows; else None."""
+def lookup(df: DataFrame, key: str, *values: str):
+    """Broadcast of (sorted keys, their values ...) if there are at most SMALL rows; else None."""
     df = cut(df)
     if df.count() > SMALL:
         return df, None
     t = df.toArrow()
     keys = t[key].to_numpy()
     at = np.argsort(keys, kind="stable")
-    return df, df.sparkSession.sparkContext.broadcast((keys[at], t[value].to_numpy()[at] if value else None))
+    return df, df.sparkSession.sparkContext.broadcast((keys[at], *[t[v].to_numpy()[at] for v in values]))
 
 
 def find(shared, klass: np.ndarray) -> np.ndarray:
@@ -178,62 +192,122 @@ def fetch_sets(docs: DataFrame, wanted: DataFrame, order) -> DataFrame:
                     rows.append((int(classes[i]), ordered(sets[i], order.value).tobytes()))
             yield pd.DataFrame(rows, columns=["klass", "members"])
 
-    sets = docs.select("text").mapInPandas(run, "klass long, members binary")
+    sets = map_slices(docs.select("text"), run, "klass long, members binary")
     if not shared:
         sets = sets.join(wanted, "klass", "left_semi")
     return sets.dropDuplicates(["klass"])
 
 
-def verified(docs: DataFrame, pairs: DataFrame, order) -> DataFrame:
-    """a, b: the pairs(a, b) that are linked, found by walking trees of all b of an a with a as the query."""
-    pairs = cut(pairs)
-    sets = cut(fetch_sets(docs, pairs.select(F.explode(F.array("a", "b")).alias("klass")).distinct(), order))
-    sizes = cut(pairs.groupBy("a").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks")))
-    leads = sizes.join(sets, sizes["a"] == sets["klass"]).select("a", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(0).alias("kind"), "klass", "members")
-    dealt = cut(pairs.join(sizes, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("blocks")).cast("int").alias("block")))
-    below = dealt.join(sets, dealt["b"] == sets["klass"]).select("a", "block", F.lit(1).alias("kind"), "klass", "members")
-    spark = docs.sparkSession
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    rows = leads.unionByName(below).repartition(parts, "a", "block").sortWithinPartitions("a", "block", "kind")
+def deliveries(docs: DataFrame, places: DataFrame, classes: DataFrame, order) -> DataFrame:
+    """tree, part, kind, klass, members: the set of each class in places(tree, part, kind, klass), once per place.
+
+    Up to SMALL places they are broadcast, and the documents that stand for the classes send their sets straight there.
+    Beyond that, sets and places are joined."""
+    if places.count() > SMALL:
+        return places.join(fetch_sets(docs, places.select("klass").distinct(), order), "klass").select("tree", "part", "kind", "klass", "members")
+    t = places.join(classes.select("klass", F.coalesce("doc_id", F.lit(NOBODY)).alias("doc_id")), "klass").toArrow()
+    at = np.argsort(t["klass"].to_numpy(), kind="stable")
+    shared = docs.sparkSession.sparkContext.broadcast(tuple(t[c].to_numpy()[at] for c in ("klass", "doc_id", "tree", "part", "kind")))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        key, query, names, sets_ = None, None, [], []
+        shingler, (klass, doc_id, tree, part, kind) = Shingler(SIZE), shared.value
+        stands = np.unique(doc_id)
+        for b in batches:
+            ids = b["doc_id"].fillna(NOBODY).to_numpy(np.int64)
+            known = np.minimum(np.searchsorted(stands, ids), max(0, len(stands) - 1))
+            able = np.flatnonzero(stands[known] == ids) if len(stands) else []
+            rows = []
+            for i, s in zip(able, shingler.sets([b["text"].iloc[i] for i in able]), strict=True):
+                c = set_digest(s)
+                lo, hi = np.searchsorted(klass, c, "left"), np.searchsorted(klass, c, "right")
+                if lo < hi and len(s) and doc_id[lo] == ids[i]:
+                    data = ordered(s, order.value).tobytes()
+                    for k in range(lo, hi):
+                        rows.append((tree[k], part[k], kind[k], c, data))
+                        if len(rows) == 2000:
+                            yield pd.DataFrame(rows, columns=["tree", "part", "kind", "klass", "members"])
+                            rows = []
+            yield pd.DataFrame(rows, columns=["tree", "part", "kind", "klass", "members"])
+
+    return map_slices(docs.select("doc_id", "text"), run, "tree long, part long, kind int, klass long, members binary")
+
+
+MEMBER, QUERY = 0, 1
 
-        def walk() -> pd.DataFrame:
-            found = PrefixTree(sets_).linked(query) if query is not None and sets_ else []
-            return pd.DataFrame({"a": [key[0]] * len(found), "b": [names[i] for i, _ in found]}, dtype=np.int64)
 
+def walked(docs: DataFrame, places: DataFrame, classes: DataFrame, order, first_only: bool) -> DataFrame:
+    """a, b: links of queries a with members b of their trees; with first_only one per query and part of a tree."""
+    places = cut(places)
+    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = deliveries(docs, places, classes, order).repartition(parts, "tree", "part").sortWithinPartitions("tree", "part", "kind", "klass")
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        key, held, tree, names, last, out = None, {}, None, [], None, []
         for b in batches:
-            for a, block, kind, klass, members in b.itertuples(index=False, name=None):
-                if key != (a, block):
-                    if key is not None:
-                        yield walk()
-                    key, query, names, sets_ = (a, block), None, [], []
+            for t, part, kind, klass, members in b.itertuples(index=False, name=None):
+                if key != (t, part):
+                    key, held, tree, last = (t, part), {}, None, None
                 s = np.frombuffer(members, np.uint64)
-                if kind == 0:
-                    query = s
-                else:
-                    names.append(klass)
-                    sets_.append(s)
-        if key is not None:
-            yield walk()
-
-    return rows.mapInPandas(run, "a long, b long")
+                if kind == MEMBER:
+                    held[klass] = s
+                    continue
+                if klass == last:
+                    continue
+                last = klass
+                if tree is None:
+                    names, tree = list(held), PrefixTree(list(held.values()))
+                found = [names[i] for i, _ in tree.linked(s, first_only)]
+                out += [(klass, x) for x in found if x != klass]
+            if len(out) > 10_000:
+                yield pd.DataFrame(out, columns=["a", "b"])
+                out = []
+        yield pd.DataFrame(out, columns=["a", "b"], dtype=np.int64)
+
+    out = cut(rows.mapInPandas(run, "a long, b long"))
+    discard(places)
+    return out
+
+
+def star_places(pairs: DataFrame) -> DataFrame:
+    """A tree of all b for each a of pairs(a, b), in parts of about BLOCK members, and a as the query of every part."""
+    pairs = cut(pairs)
+    sizes = cut(pairs.groupBy("a").agg(F.ceil(F.count("*") / BLOCK).alias("parts")))
+    queries = sizes.select(F.col("a").alias("tree"), F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(QUERY).alias("kind"), F.col("a").alias("klass"))
+    members = pairs.join(sizes, "a").select(F.col("a").alias("tree"), F.pmod(F.xxhash64("b"), F.col("parts")).alias("part"), F.lit(MEMBER).alias("kind"), F.col("b").alias("klass"))
+    return queries.unionByName(members)
+
+
+def group_places(requests: DataFrame, groups: DataFrame) -> DataFrame:
+    """A tree of each group that requests(x, root) ask for, in parts of about BLOCK members, with the queries x of all of
+    them. A tree with many queries is repeated, and its queries are dealt out over the copies."""
+    asked = cut(requests.groupBy("root").agg(F.ceil(F.count("*") / (8 * BLOCK)).alias("copies")))
+    own = groups.select("node", "root").join(asked, "root")
+    sizes = own.groupBy("root").agg(F.ceil(F.count("*") / BLOCK).alias("parts"))
+    asked = cut(asked.join(sizes, "root", "left").select("root", "copies", F.coalesce("parts", F.lit(1)).alias("parts")))
+    own = own.drop("copies").unionByName(asked.where("root is not null").join(groups.select("root").distinct(), "root", "left_anti").select(F.col("root").alias("node"), "root"))
+    members = own.join(asked, "root").select(F.col("root").alias("tree"), F.pmod(F.xxhash64("node"), F.col("parts")).alias("p"), "copies", "parts", F.col("node").alias("klass"))
+    members = members.select("tree", F.explode(F.sequence(F.lit(0), F.col("copies") - 1)).alias("c"), "p", "parts", "klass")
+    members = members.select("tree", (F.col("c") * F.col("parts") + F.col("p")).alias("part"), F.lit(MEMBER).alias("kind"), "klass")
+    queries = requests.join(asked, "root").select(F.col("root").alias("tree"), F.pmod(F.xxhash64("x"), F.col("copies")).alias("c"), "parts", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("p"), F.col("x").alias("klass"))
+    return members.unionByName(queries.select("tree", (F.col("c") * F.col("parts") + F.col("p")).alias("part"), F.lit(QUERY).alias("kind"), "klass"))
 
 
 def star_pairs(classes: DataFrame) -> DataFrame:
-    """a, b: each class with the first class that has the same minimum, for each of the hash functions."""
+    """a, b: each class with one class that has the same key, for each key; which one is drawn anew for each key, so that
+    a class meets several members of a large group."""
     keyed = classes.where("n > 0").select("klass", "n", F.posexplode("keys").alias("j", "key"))
-    first = keyed.groupBy("j", "key").agg(F.min(F.struct("klass", "n")).alias("f"), F.count("*").alias("c")).where("c > 1")
+    first = keyed.groupBy("j", "key").agg(F.min(F.struct(F.xxhash64("klass", "j").alias("h"), "klass", "n")).alias("f"), F.count("*").alias("c")).where("c > 1")
     first = first.select("j", "key", F.col("f.klass").alias("a"), F.col("f.n").alias("m"), F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))).alias("salt"))
     keyed = keyed.withColumn("salt", F.pmod("klass", F.lit(SALT)).cast("int"))
     both = keyed.join(first, ["j", "key", "salt"]).where("a <> klass and 4 * least(n, m) >= 3 * greatest(n, m)")
-    return both.select("a", F.col("klass").alias("b")).distinct()
+    return both.select(F.least("a", "klass").alias("a"), F.greatest("a", "klass").alias("b")).distinct()
 
 
 def prefix_rows(docs: DataFrame, groups: DataFrame, order) -> DataFrame:
-    """token, klass, root (null: alone), size (n, position): each class under the first shingles of its set."""
-    groups, shared = lookup(groups, "node", "root")
+    """token, klass, root and group (0: alone; else the size of its group), size (n, position): each class under the first
+    shingles of its set."""
+    counts = groups.groupBy("root").agg(F.count("*").alias("group"))
+    groups, shared = lookup(groups.join(counts, "root").select("node", "root", "group"), "node", "root", "group")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingler, known = Shingler(SIZE), set()
@@ -248,70 +322,77 @@ def prefix_rows(docs: DataFrame, groups: DataFrame, order) -> DataFrame:
                     continue
                 known.add(c)
                 p = prefix(len(s))
-                out.append((ordered(s, order.value)[:p].astype(np.int64), np.full(p, c), np.full(p, shared.value[1][at[i]] if at[i] >= 0 else 0), (len(s) << 32) + np.arange(p)))
+                root, group = (shared.value[1][at[i]], shared.value[2][at[i]]) if at[i] >= 0 else (0, 0)
+                out.append((ordered(s, order.value)[:p].astype(np.int64), np.full(p, c), np.full(p, root), np.full(p, group), (len(s) << 32) + np.arange(p)))
                 held += p
                 if held > 200_000:
-                    yield pd.DataFrame(dict(zip(("token", "klass", "root", "size"), map(np.concatenate, zip(*out, strict=True)), strict=True)))
+                    yield pd.DataFrame(dict(zip(("token", "klass", "root", "group", "size"), map(np.concatenate, zip(*out, strict=True)), strict=True)))
                     out, held = [], 0
             if out:
-                yield pd.DataFrame(dict(zip(("token", "klass", "root", "size"), map(np.concatenate, zip(*out, strict=True)), strict=True)))
+                yield pd.DataFrame(dict(zip(("token", "klass", "root", "group", "size"), map(np.concatenate, zip(*out, strict=True)), strict=True)))
 
-    rows = docs.select("text").mapInPandas(run, "token long, klass long, root long, size long")
+    rows = map_slices(docs.select("text"), run, "token long, klass long, root long, group long, size long")
     if not shared:
-        rows = rows.drop("root").join(groups, rows["klass"] == groups["node"], "left").select("token", "klass", F.coalesce("root", F.lit(0)).alias("root"), "size")
+        rows = rows.drop("root", "group").join(groups, rows["klass"] == groups["node"], "left").select("token", "klass", F.coalesce("root", F.lit(0)).alias("root"), F.coalesce("group", F.lit(0)).alias("group"), "size")
     return rows
 
 
-def prefix_pairs(rows: DataFrame) -> DataFrame:
-    """a, b: classes of different groups that share a token where the remaining-length bounds still allow a link."""
+def prefix_requests(rows: DataFrame) -> DataFrame:
+    """x, root: classes that must be held against another group, because they share a token with one of its members where
+    the length and remaining-length bounds still allow a link. Of two groups, the members of the smaller one ask."""
     parts = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     dealt = rows.repartition(parts, "token").sortWithinPartitions("token", "klass")
+    names = ["token", "klass", "root", "group", "size"]
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         rest = None
         for b in batches:
-            token, klass, root, size = (b[c].to_numpy() for c in ("token", "klass", "root", "size"))
+            now = [b[c].to_numpy() for c in names]
             if rest is not None:
-                token, klass, root, size = (np.concatenate(x) for x in zip(rest, (token, klass, root, size), strict=True))
-            if not len(token):
+                now = [np.concatenate(x) for x in zip(rest, now, strict=True)]
+            if not len(now[0]):
                 continue
-            cut_at = int(np.searchsorted(token, token[-1]))
-            rest = token[cut_at:], klass[cut_at:], root[cut_at:], size[cut_at:]
-            yield from pairs_of(token[:cut_at], klass[:cut_at], root[:cut_at], size[:cut_at])
+            cut_at = int(np.searchsorted(now[0], now[0][-1]))
+            rest = [x[cut_at:] for x in now]
+            yield from requests_of(*[x[:cut_at] for x in now])
         if rest is not None:
-            yield from pairs_of(*rest)
+            yield from requests_of(*rest)
 
-    def pairs_of(token, klass, root, size):
+    def requests_of(token, klass, root, group, size):
         if len(token) < 2:
             return
         fresh = np.concatenate(([True], (token[1:] != token[:-1]) | (klass[1:] != klass[:-1])))
-        token, klass, root, size = token[fresh], klass[fresh], root[fresh], size[fresh]
-        group = np.where(root == 0, klass, root)
+        token, klass, root, group, size = (x[fresh] for x in (token, klass, root, group, size))
+        own = np.where(group == 0, klass, root)
         n, at = size >> 32, size & 0xFFFFFFFF
         start = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1])))
         end = np.concatenate((start[1:], [len(token)]))
         many = end - start > 1
-        a_out, b_out, held = [], [], 0
+        x_out, r_out, held = [], [], 0
+
+        def flush() -> pd.DataFrame:
+            return pd.DataFrame({"x": np.concatenate(x_out), "root": np.concatenate(r_out)}).drop_duplicates()
+
         for s, e in zip(start[many].tolist(), end[many].tolist(), strict=True):
-            g = group[s:e]
-            if (g == g[0]).all():
+            if (own[s:e] == own[s]).all():
                 continue
             for i in range(s, e - 1):
                 j = np.arange(i + 1, e)
-                ok = (group[j] != group[i]) & close(n[i], n[j])
+                ok = (own[j] != own[i]) & close(n[i], n[j])
                 ok &= np.minimum(n[i] - at[i], n[j] - at[j]) >= needed(n[i], n[j])
                 j = j[ok]
                 if len(j):
-                    a_out.append(np.full(len(j), klass[i]))
-                    b_out.append(klass[j])
+                    asks = (group[i] < group[j]) | ((group[i] == group[j]) & (own[i] < own[j]))
+                    x_out.append(np.where(asks, klass[i], klass[j]))
+                    r_out.append(np.where(asks, own[j], own[i]))
                     held += len(j)
-            if held > 100_000:
-                yield pd.DataFrame({"a": np.concatenate(a_out), "b": np.concatenate(b_out)})
-                a_out, b_out, held = [], [], 0
-        if a_out:
-            yield pd.DataFrame({"a": np.concatenate(a_out), "b": np.concatenate(b_out)})
+            if held > 200_000:
+                yield flush()
+                x_out, r_out, held = [], [], 0
+        if x_out:
+            yield flush()
 
-    return dealt.mapInPandas(run, "a long, b long").distinct()
+    return dealt.mapInPandas(run, "x long, root long").distinct()
 
 
 def linked_classes(docs: DataFrame) -> DataFrame:
@@ -324,9 +405,11 @@ def linked_classes(docs: DataFrame) -> DataFrame:
     order_[seen["bucket"].to_numpy()] = seen["hits"].to_numpy()
     order = spark.sparkContext.broadcast(order_)
     classes = cut(slim.groupBy("klass").agg(F.max("n").alias("n"), F.first("keys").alias("keys"), F.min("doc_id").alias("doc_id")))
-    links = cut(verified(docs, star_pairs(classes), order))
+    links = walked(docs, star_places(star_pairs(classes)), classes, order, first_only=False)
     groups = components(links)
-    more = cut(verified(docs, prefix_pairs(prefix_rows(docs, groups, order)), order))
+    requests = cut(prefix_requests(prefix_rows(docs, groups, order)))
+    more = walked(docs, group_places(requests, groups), classes, order, first_only=True)
+    discard(requests)
     if not more.isEmpty():
         groups = components(links.unionByName(more))
     firsts = classes.join(groups, classes["klass"] == groups["node"]).groupBy("root").agg(F.min("doc_id").alias("component_id"))

@@ -27,7 +27,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, map_slices
 
 ORDER, BITS, BEGIN, OTHER = 4, 16, 0, 0xFFFD
 QUANTILE, SLACK, ENOUGH = 0.99, 1.25, 50
@@ -82,7 +82,7 @@ def count_grams(docs: DataFrame) -> DataFrame:
         for lang in list(held):
             yield flush(lang)
 
-    return docs.select("lang", "text").mapInPandas(run, "lang string, k long, c long").groupBy("lang", "k").agg(F.sum("c").alias("c"))
+    return map_slices(docs.select("lang", "text"), run, "lang string, k long, c long").groupBy("lang", "k").agg(F.sum("c").alias("c"))
 
 
 def low(k: str, n: int) -> Column:
@@ -183,7 +183,7 @@ def score_blocks(rows: DataFrame, grams: DataFrame, contexts: DataFrame) -> Data
                 settle(lang)
             yield pd.DataFrame({"id": ids, "n": n, "nats": sums})
 
-    return rows.select("id", "lang", "text").mapInPandas(run, "id long, n long, nats double")
+    return map_slices(rows.select("id", "lang", "text"), run, "id long, n long, nats double")
 
 
 def score_shards(rows: DataFrame, grams: DataFrame, contexts: DataFrame) -> DataFrame:
@@ -196,7 +196,7 @@ def score_shards(rows: DataFrame, grams: DataFrame, contexts: DataFrame) -> Data
                     k, c = np.unique(gram_keys(text), return_counts=True)
                     yield pd.DataFrame({"id": i, "lang": lang, "k": k.view(np.int64), "c": c})
 
-    x = rows.select("id", "lang", "text").mapInPandas(run, "id long, lang string, k long, c long")
+    x = map_slices(rows.select("id", "lang", "text"), run, "id long, lang string, k long, c long")
     x = x.withColumn("sum", F.lit(0.0)).withColumn("open", F.lit(True))
     for n in range(ORDER, 0, -1):
         g = grams.where(F.col("n") == n).select("lang", F.col("k").alias("g"), "lp")

@@ -28,6 +28,8 @@ from pyspark import cloudpickle
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import map_slices
+
 KINDS = ["email", "ip", "card", "phone"]
 LABELS = ["none", *KINDS, "secret"]
 SAMPLE, STEPS, ROUNDS = 6000, 300, 8
@@ -220,7 +222,7 @@ def train(docs: DataFrame, sample: int = SAMPLE) -> Field | None:
                 out += [("skip", int(label[i]), int(label[j]), 0, []) for i, j in skip]
             yield pd.DataFrame(out, columns=["what", "y", "z", "m", "f"])
 
-    found = rows.where(draw < min(1.0, sample / total)).select("text").mapInPandas(run, "what string, y int, z int, m int, f array<int>")
+    found = map_slices(rows.where(draw < min(1.0, sample / total)).select("text"), run, "what string, y int, z int, m int, f array<int>")
     # Equal rows are counted, so that what comes to the driver is bounded by the sample and far smaller.
     t = found.groupBy("what", "y", "z", "f").agg(F.count("*").alias("m")).toPandas()
     k = len(LABELS)
@@ -293,7 +295,7 @@ def find_entities(docs: DataFrame, model: Field | None, block: int = 4000) -> Da
             out.insert(0, "doc_id", b["doc_id"])
             yield out
 
-    return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long")
+    return map_slices(docs.select("doc_id", "text"), run, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long")
 
 
 def op1_skip_chain(spark, sf_dir: str) -> DataFrame:

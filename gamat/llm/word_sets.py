@@ -41,7 +41,7 @@ class Shingler:
     A word's digest is a polynomial in 64-bit arithmetic over random byte values, read off prefix sums; a shingle's is
     a polynomial over its words' digests."""
 
-    def __init__(self, size: int = 5, chunk: int = 1 << 20):
+    def __init__(self, size: int = 5, chunk: int = 1 << 18):
         self.size, self.chunk = size, chunk
         self.up, self.down = powers(GOLD, chunk + 1), powers(inverse(GOLD), chunk + 1)
 
