@@ -44,7 +44,7 @@ class WordTokenizer:
     KNOWN = re.compile("[\x00-\x7fÀ-ÖØ-öø-ÿ]*")
     PARTS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ÿ]+|[0-9]|[^\sa-zß-öø-ÿ0-9]+", re.ASCII)
 
-    def __init__(self, path: str, cache: int = 600_000):
+    def __init__(self, path: str, cache: int = 400_000):
         from tokenizers import Tokenizer
 
         self.library, self.size, self.cache = Tokenizer.from_file(path), cache, {}
@@ -68,8 +68,10 @@ class WordTokenizer:
             pass
         missing = list({p for p in parts if p not in cache})
         if len(cache) + len(missing) > self.size:
-            cache.clear()
-            missing = list(set(parts))
+            # The words met first are the frequent ones: they stay, the younger half goes.
+            for p in list(cache)[self.size // 2 :]:
+                del cache[p]
+            missing = list({p for p in parts if p not in cache})
         ids = np.array(self.library.encode(" ".join(missing), add_special_tokens=False).ids, np.uint32)
         ends = ((np.flatnonzero(self.last[ids]) + 1) * 4).tolist()
         raw, at = ids.tobytes(), 0
@@ -79,6 +81,17 @@ class WordTokenizer:
         return b"".join(map(cache.__getitem__, parts))
 
 
+def shared_tokenizer(path: str) -> WordTokenizer:
+    """One tokenizer, with its word cache, for all tasks that a Python worker runs; it is kept on the library's module,
+    because functions that travel to workers bring their own globals."""
+    import tokenizers
+
+    held = tokenizers.__dict__.setdefault("_gamat_shared", {})
+    if path not in held:
+        held[path] = WordTokenizer(path)
+    return held[path]
+
+
 def public_tokenizer_path(name: str) -> str:
     import public_tokenizers
 
@@ -89,7 +102,7 @@ def pieces(docs: DataFrame, tokenizer_path: str | None = None, capacity: int = C
     """doc_id, piece, start, length, ids_crc32: one row per piece of docs(doc_id, text)."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        tok = WordTokenizer(tokenizer_path or public_tokenizer_path("word_bpe_49k.json"))
+        tok = shared_tokenizer(tokenizer_path or public_tokenizer_path("word_bpe_49k.json"))
         end, step = np.uint32(end_id).tobytes(), capacity * 4
         for b in batches:
             rows = []
