@@ -4,11 +4,12 @@ A text's blocks (runs of up to 40 words within a paragraph) are digested to 64 b
 each of three subtables, and a cell keeps a count, the exclusive-or of its digests and that of their checksums. The
 sketch is the fingerprint. Two sketches are subtracted cell by cell; cells that hold one digest are then peeled until
 nothing is left, which yields the digests by which the texts differ. If peeling gets stuck, the two are sketched and
-subtracted again with four times the cells; only where the largest table is stuck too, the digests are compared
-directly. likeness = shared / all different digests of both.
+subtracted again with four times the cells. Where the largest table is stuck too, or the next table takes more than WORK
+steps (cells times digests, as sketches and peeling are quadratic), the digests are compared directly, which counts the
+same differences. likeness = shared / all different digests of both.
 
-Texts of more than LONG characters use blocks that double with the length and ignore line ends, so that the number of
-blocks stays moderate; two texts are alike only if their blocks have the same length.
+Texts of all lengths have the same blocks, so texts of any two lengths can share digests. Tables with fewer cells than
+the numbers of digests differ by are left out: each digest that is peeled empties a cell, so they would get stuck.
 
 The next document in descending order is found inside ranges of doc_id, with one shuffle of the texts; the first
 document of every range is also dealt to the range before it.
@@ -27,18 +28,13 @@ from pyspark.sql.window import Window
 from .line_templates import bind
 
 CELLS, GROW, TRIES = 24, 4, 5
-WORDS, LONG, WIDEST = 40, 16384, 4
+WORDS, WORK = 40, 65_536
 RANGE_ROWS, MOST_RANGES = 500, 100_000
 
 
 def blocks(text: Column) -> Column:
     """Different 64-bit digests of the blocks of a text."""
-    n = F.char_length(text)
-    step = F.least(F.greatest(F.floor(F.log2(n / LONG)) + 1, F.lit(0)), F.lit(WIDEST)).cast("int")
-    pattern = F.lit(rf"(?:[^ \n]++ *+){{1,{WORDS}}}+")
-    for k in range(1, WIDEST + 1):
-        pattern = F.when(F.coalesce(step, F.lit(0)) == k, F.lit(rf"(?:[^ \n]++[ \n]*+){{1,{WORDS << k}}}+")).otherwise(pattern)
-    found = F.regexp_extract_all(text, pattern, F.lit(0))
+    found = F.regexp_extract_all(text, F.lit(rf"(?:[^ \n]++ *+){{1,{WORDS}}}+"), F.lit(0))
     return F.array_distinct(F.transform(found, lambda x: F.xxhash64(F.rtrim(x))))
 
 
@@ -110,12 +106,13 @@ def difference(a: Column, b: Column, cells: int, sketches: tuple[Column, Column]
 
 def likeness(a: Column, b: Column, fa: Column, fb: Column) -> Column:
     """Likeness of two sketches (of CELLS cells) whose digests are a and b, with larger ones on failure."""
-    tries = [difference(a, b, CELLS, (fa, fb))]
+    apart = F.abs(F.size(a) - F.size(b))
+    tries = [F.when(apart <= CELLS, difference(a, b, CELLS, (fa, fb)))]
     # Where even the differences of half the digests could not be peeled, the next larger table is tried at once.
     most = F.size(a) + F.size(b)
     for t in range(1, TRIES):
         cells = CELLS * GROW**t
-        tries.append(F.when(most <= 8 * cells, difference(a, b, cells)))
+        tries.append(F.when((most <= 8 * cells) & (apart <= cells) & (most * cells <= WORK), difference(a, b, cells)))
     exact = F.size(F.array_except(a, b)) + F.size(F.array_except(b, a))
     return bind(F.coalesce(*tries, exact), lambda d: F.when(most == 0, F.lit(1.0)).otherwise((most - d) / (most + d)))
 

@@ -284,6 +284,30 @@ def test_lookup_sketch_equals_sets(spark, docs, none):
         assert got[doc][0]["edited_sha256"] == hashlib.sha256(edited.encode()).hexdigest(), doc
 
 
+def test_lookup_sketch_has_one_block_rule_for_all_lengths(spark):
+    def text(seed, n):
+        words = " ".join(f"v{seed}x{i}" for i in range(n // 5)).split(" ")
+        return "\n".join(" ".join(words[i : i + 100]) for i in range(0, len(words), 100))[:n]
+
+    def sets(t):
+        return {b.rstrip(" ") for b in re.findall(r"(?:[^ \n]+ *){1,40}", t)}
+
+    rows, want = [], {}
+    for i, at in enumerate((16384, 32768, 65536)):
+        long = text(i, at + 60)
+        rows += [(3 * i + 2, long), (3 * i + 1, long[: at - 60]), (3 * i, "short one")]
+    by = dict(rows)
+    for i in (8, 7, 5, 4, 2, 1):
+        a, nxt = by[i], by[i - 1]
+        k = len(a) // 3
+        for name, t in (("near_edited", a[: len(a) - k] + nxt[:k]), ("near_next", nxt)):
+            want[i, name] = len(sets(a) & sets(t)) / len(sets(a) | sets(t))
+    got = {r["doc_id"]: r for r in lookup_sketch.fingerprints(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    assert all(want[i, "near_next"] > 0.9 for i in (8, 5, 2)) and all(want[i, "near_edited"] > 0.3 for i in (8, 7, 5, 4, 2, 1))
+    for (i, name), x in want.items():
+        assert got[i][name] == pytest.approx(x), (i, name)
+
+
 @pytest.mark.parametrize("n", [0, 1, 5, 20, 60, 200])
 def test_peeling_recovers_differences(spark, n):
     rng = random.Random(n)
