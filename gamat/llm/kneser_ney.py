@@ -207,8 +207,9 @@ def score_shards(rows: DataFrame, grams: DataFrame, contexts: DataFrame) -> Data
         x = x.withColumn("open", F.col("open") & F.col("lp").isNull()).select("id", "lang", "k", "c", "sum", "open")
     langs = grams.select("lang").distinct()
     x = x.join(langs, "lang", "left_semi").groupBy("id").agg(F.sum(-F.col("sum") * F.col("c")).alias("nats"))
-    sizes = rows.select("id", F.length("text").cast("long").alias("n")).dropDuplicates(["id"])
-    return sizes.join(x, "id", "left").select("id", "n", "nats")
+    # A row that is there k times has its n-grams k times.
+    sizes = rows.groupBy("id").agg(F.first(F.length("text").cast("long")).alias("n"), F.count("*").alias("copies"))
+    return sizes.join(x, "id", "left").select("id", "n", (F.col("nats") / F.col("copies")).alias("nats"))
 
 
 def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, slack: float = SLACK, small: int = SMALL) -> DataFrame:

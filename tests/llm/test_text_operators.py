@@ -425,3 +425,14 @@ def test_quality_keeps_trusted_and_drops_noise(spark, docs, none):
     few = labels.where("doc_id < 0")
     assert kneser_ney.keep_good(docs, few).count() == docs.count() and kneser_ney.keep_good(docs, few).columns == docs.columns
     assert kneser_ney.keep_good(docs, labels).count() <= docs.count() and kneser_ney.keep_good(none, labels).count() == 0
+
+
+def test_quality_of_repeated_rows_is_that_of_one(spark):
+    rows = [(i, "en", f"the cat number {i} sat on the mat by the rat") for i in range(6)]
+    rows += [rows[0]] * 3 + [(9, "en", "zzz qqq the")] * 2
+    d = spark.createDataFrame(rows, "doc_id bigint, lang string, text string")
+    labels = spark.createDataFrame([(i, 1, 0) for i in range(6)], "doc_id bigint, quality int, toxic int")
+    big, small = (sorted((r["doc_id"], r["perplexity"], r["threshold"], r["keep"]) for r in kneser_ney.classify(d, labels, small=n).collect()) for n in (kneser_ney.SMALL, 0))
+    assert len(big) == len(rows) and [r[0] for r in big] == [r[0] for r in small]
+    for b, s in zip(big, small, strict=True):
+        assert s[1:3] == pytest.approx(b[1:3], rel=1e-9) and s[3] == b[3]
