@@ -9,8 +9,8 @@ Scoring looks up, for each character, the longest known 4-, 3-, 2- or 1-gram and
 way. Tables of up to SMALL rows are broadcast and looked up in blocks of text; larger ones are joined, shard by shard,
 with the n-gram counts of the documents. Both give the same perplexities.
 
-A document is rejected if its perplexity exceeds the QUANTILE of the trusted documents of its language and length
-class, by SLACK. Classes with fewer than ENOUGH trusted documents use the language's threshold. Languages without
+A document is rejected if its perplexity exceeds SLACK (1: nothing is added) times the QUANTILE of the trusted documents
+of its language and length class. Classes with fewer than ENOUGH trusted documents use the language's threshold. Languages without
 trusted text, and empty texts, have no perplexity and are kept.
 
 Null text counts as empty; null lang is a language of its own, "<null>". Repeated rows share one fate. Characters
@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from .common import cut, map_slices
 
 ORDER, BITS, BEGIN, OTHER = 4, 16, 0, 0xFFFD
-QUANTILE, SLACK, ENOUGH = 0.99, 1.25, 50
+QUANTILE, SLACK, ENOUGH = 0.99, 1.0, 50
 SMALL, CHUNK = 4_000_000, 1_000_000
 LENGTHS = [32, 128, 512]
 

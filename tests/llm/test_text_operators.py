@@ -436,3 +436,10 @@ def test_quality_of_repeated_rows_is_that_of_one(spark):
     assert len(big) == len(rows) and [r[0] for r in big] == [r[0] for r in small]
     for b, s in zip(big, small, strict=True):
         assert s[1:3] == pytest.approx(b[1:3], rel=1e-9) and s[3] == b[3]
+
+
+def test_quality_rejects_labelled_junk(spark):
+    d, labels = spark.read.parquet("/root/testdata/sf0.01/documents.parquet"), spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
+    out = kneser_ney.classify(d, labels).join(labels, "doc_id")
+    good, bad, toxic = (out.where(c).agg(F.avg(F.col("keep").cast("int"))).first()[0] for c in ("quality = 1 and toxic = 0", "quality = 0", "quality = 1 and toxic = 1"))
+    assert good > 0.98 and bad < 0.08 and toxic < 0.75, (good, bad, toxic)
