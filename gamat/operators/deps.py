@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..types import GraphMatrix, MatrixError, VertexState
 from . import ops
-from .superstep import reliable
+from ..sources.shared import reliable
 
 
 def levels(gm: GraphMatrix, most: int = 10_000) -> DataFrame:

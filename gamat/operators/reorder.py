@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.ids import prefix_sum
 from ..types import GraphMatrix, VertexState
-from .superstep import reliable
+from ..sources.shared import reliable
 
 
 def undirected(gm: GraphMatrix) -> DataFrame:

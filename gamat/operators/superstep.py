@@ -12,6 +12,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..sources.shared import reliable
 from ..types import BROADCAST_ROWS, GraphMatrix, Strategy, VertexState
 
 
@@ -155,13 +156,3 @@ def iterate(step, state: VertexState, times: int, tol: float | None = None, chec
                 return new
         state = new
     return state
-
-
-def reliable(df: DataFrame) -> DataFrame:
-    """Checkpoint in the folder the cluster shares; a folder of our own only where none is set."""
-    context = df.sparkSession.sparkContext
-    if context.getCheckpointDir() is None:
-        import tempfile
-
-        context.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="gamat-"))
-    return df.checkpoint()
