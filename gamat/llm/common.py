@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-import tempfile
+import sys
+import types
 import uuid
 
 import pandas as pd
@@ -12,15 +13,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import StructType
 
-
-def shared_dir(spark: SparkSession) -> str:
-    """Folder that all executors share: spark.checkpoint.dir, or a local one where it is unset (tests only)."""
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if not folder:
-        folder = getattr(shared_dir, "own", None)
-        if folder is None:
-            folder = shared_dir.own = "file://" + tempfile.mkdtemp(prefix="gamat-")
-    return folder.rstrip("/")
+from ..sources.shared import shared_folder
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -28,7 +21,7 @@ def cut(df: DataFrame) -> DataFrame:
 
     The written table survives lost executors; it is replaced by nothing and read at any later time."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/gamat-{uuid.uuid4().hex}"
+    path = f"{shared_folder(spark)}/gamat-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -63,18 +56,38 @@ def text_or_empty(name: str = "text") -> Column:
     return F.coalesce(F.col(name), F.lit(""))
 
 
-def map_slices(df: DataFrame, fn, schema: str, rows: int = 512) -> DataFrame:
-    """Like mapInPandas, but fn sees frames of at most `rows` rows, whatever the size of the batches that arrive: only that
-    many texts are Python strings at a time. Integer columns keep nulls and all their digits."""
+def worker_store() -> dict:
+    """What a Python worker keeps from one task to the next. Functions that travel to workers bring their own globals, so it
+    hangs on a module of its own."""
+    name = "_gamat_worker"
+    if name not in sys.modules:
+        sys.modules[name] = types.ModuleType(name)
+        sys.modules[name].kept = {}
+    return sys.modules[name].kept
+
+
+def map_slices(df: DataFrame, fn, schema: str, rows: int = 512, keeps: str = "", weight: int = 4 << 20) -> DataFrame:
+    """Like mapInPandas, but fn sees frames of at most `rows` rows and, but for single rows that are larger, `weight` bytes,
+    whatever the size of the batches that arrive: only that much text is Python strings at a time. Integer columns keep
+    nulls and all their digits. What earlier operators left in the worker is freed, but for the entry named `keeps`."""
     target = to_arrow_schema(StructType.fromDDL(schema))
     names = df.columns
 
     def run(batches):
+        store = worker_store()
+        for k in [k for k in store if k != keeps]:
+            del store[k]
+
         def small():
             for b in batches:
-                for at in range(0, b.num_rows, rows):
-                    part = b.slice(at, rows).to_pandas(types_mapper={pa.int64(): pd.Int64Dtype(), pa.int32(): pd.Int32Dtype()}.get)
+                at = 0
+                while at < b.num_rows:
+                    n = rows
+                    while n > 1 and b.slice(at, n).nbytes > weight:
+                        n //= 2
+                    part = b.slice(at, n).to_pandas(types_mapper={pa.int64(): pd.Int64Dtype(), pa.int32(): pd.Int32Dtype()}.get)
                     part.columns = names
+                    at += n
                     yield part
 
         for out in fn(small()):

@@ -29,13 +29,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import cut, map_slices
+from .common import cut, map_slices, worker_store
 
 CAPACITY, END_ID = 4096, 1
+STORE = "tokenizer"
 
 
 class WordTokenizer:
-    """Ids of a text as little-endian unsigned 32-bit bytes, equal to the library's own, with a bounded word cache.
+    """Ids of a text as little-endian unsigned 32-bit bytes, equal to the library's own, with a word cache of at most
+    `cache` words of at most `longest` letters (about 200 bytes a word).
 
     The vocabulary's rules split at white space, letter runs, single digits and runs of other signs after lower-casing,
     and no merge crosses such a part. So a text of well-known characters is the concatenation of its parts, each of
@@ -44,10 +46,10 @@ class WordTokenizer:
     KNOWN = re.compile("[\x00-\x7fÀ-ÖØ-öø-ÿ]*")
     PARTS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ÿ]+|[0-9]|[^\sa-zß-öø-ÿ0-9]+", re.ASCII)
 
-    def __init__(self, path: str, cache: int = 400_000):
+    def __init__(self, path: str, cache: int = 250_000, longest: int = 64):
         from tokenizers import Tokenizer
 
-        self.library, self.size, self.cache = Tokenizer.from_file(path), cache, {}
+        self.library, self.size, self.longest, self.cache = Tokenizer.from_file(path), cache, longest, {}
         vocabulary = self.library.get_vocab(True)
         self.last = np.zeros(max(vocabulary.values()) + 1, bool)
         self.last[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
@@ -74,19 +76,17 @@ class WordTokenizer:
             missing = list({p for p in parts if p not in cache})
         ids = np.array(self.library.encode(" ".join(missing), add_special_tokens=False).ids, np.uint32)
         ends = ((np.flatnonzero(self.last[ids]) + 1) * 4).tolist()
-        raw, at = ids.tobytes(), 0
+        raw, at, rare = ids.tobytes(), 0, {}
         for p, end in zip(missing, ends, strict=True):
-            cache[p] = raw[at:end]
+            # Long words and what goes beyond the bound serve this text only.
+            (cache if len(p) <= self.longest and len(cache) < self.size else rare)[p] = raw[at:end]
             at = end
-        return b"".join(map(cache.__getitem__, parts))
+        return b"".join([cache[p] if p in cache else rare[p] for p in parts] if rare else map(cache.__getitem__, parts))
 
 
 def shared_tokenizer(path: str) -> WordTokenizer:
-    """One tokenizer, with its word cache, for all tasks that a Python worker runs; it is kept on the library's module,
-    because functions that travel to workers bring their own globals."""
-    import tokenizers
-
-    held = tokenizers.__dict__.setdefault("_gamat_shared", {})
+    """One tokenizer, with its word cache, for all tasks of this operator that a Python worker runs."""
+    held = worker_store().setdefault(STORE, {})
     if path not in held:
         held[path] = WordTokenizer(path)
     return held[path]
@@ -113,7 +113,7 @@ def pieces(docs: DataFrame, tokenizer_path: str | None = None, capacity: int = C
                     rows.append((i, k, at // 4, len(part) // 4, zlib.crc32(part)))
             yield pd.DataFrame(rows, columns=["doc_id", "piece", "start", "length", "ids_crc32"])
 
-    return map_slices(docs.select("doc_id", "text"), run, "doc_id long, piece int, start long, length long, ids_crc32 long")
+    return map_slices(docs.select("doc_id", "text"), run, "doc_id long, piece int, start long, length long, ids_crc32 long", keeps=STORE)
 
 
 def fullest(lengths: list[int], counts: dict[int, int], room: int) -> list[tuple[int, int]]:
