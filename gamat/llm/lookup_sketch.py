@@ -11,12 +11,13 @@ same differences. likeness = shared / all different digests of both.
 Texts of all lengths have the same blocks, so texts of any two lengths can share digests. Tables with fewer cells than
 the numbers of digests differ by are left out: each digest that is peeled empties a cell, so they would get stuck.
 
-The next document in descending order is found inside ranges of doc_id, with one shuffle of the texts; the first
-document of every range is also dealt to the range before it.
+The next document in descending order is found inside ranges of documents, with one shuffle of the texts; the first
+document of every range is also dealt to the range before it. Ranges are cut by rank, not by the values of ids.
 
 Null text counts as empty; an empty text has no blocks, and two of those are alike (1). Ties in doc_id are ordered by
 the text's digest; a null doc_id comes last. Repeated rows stay separate rows. A single document is its own successor.
-Other columns are ignored; an empty table gives an empty result.
+Very long texts are taken whole; beyond WORK their digests are compared directly. Other columns are ignored; an empty
+table gives an empty result.
 """
 
 from __future__ import annotations
@@ -25,11 +26,14 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from .common import cut
 from .line_templates import bind
 
 CELLS, GROW, TRIES = 24, 4, 5
 WORDS, WORK = 40, 65_536
-RANGE_ROWS, MOST_RANGES = 500, 100_000
+#: Documents in a range, and how many ranges there are at most (beyond that, ranges grow); documents in a task likewise.
+RANGE_ROWS, MOST_RANGES = 200, 200_000
+PART_ROWS, MOST_PARTS = 3000, 50_000
 
 
 def blocks(text: Column) -> Column:
@@ -122,25 +126,46 @@ def written(cells: Column) -> Column:
     return F.array_join(F.transform(cells, lambda x: F.when(x["c"] == 0, F.lit("")).otherwise(F.concat_ws(":", x["c"].cast("string"), F.lower(F.hex(x["k"])), F.lower(F.hex(x["h"]))))), ",")
 
 
+def place(cuts: Column, key: Column) -> Column:
+    """How many of the sorted cuts are at most key: a binary search in as many steps as a table of MOST_RANGES needs."""
+    steps = F.array(*[F.lit(1 << j) for j in range(MOST_RANGES.bit_length() + 1, -1, -1)])
+
+    def step(low: Column, by: Column) -> Column:
+        return F.when((low + by <= F.size(cuts)) & (F.get(cuts, low + by - 1) <= key), low + by).otherwise(low)
+
+    return F.aggregate(steps, F.lit(0), step)
+
+
+def order_key() -> Column:
+    """What documents are ordered by; a null doc_id comes first in rising order."""
+    return F.struct(F.col("doc_id").isNotNull().alias("p"), F.coalesce("doc_id", F.lit(0)).cast("long").alias("i"), F.col("th").alias("t"))
+
+
 def in_ranges(docs: DataFrame) -> DataFrame:
-    """docs(doc_id, text, th) with `bucket` (0 for null ids, rising with doc_id) and `halo` (rows dealt a second time).
-
-    Within a bucket, the row after the last in descending order is the halo row: the first one of the next lower
-    bucket in use, or, for the lowest, the very first document."""
-    size = docs.agg(F.count("*").alias("n"), F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).first()
-    ranges = min(MOST_RANGES, max(1, size["n"] // RANGE_ROWS))
-    lo, hi = (size["lo"] or 0), (size["hi"] or 0)
-    width = (hi - lo) // ranges + 1
-    bucket = F.coalesce(F.floor((F.col("doc_id") - F.lit(lo)) / F.lit(width)) + 1, F.lit(0)).cast("long")
-    rows = docs.withColumn("bucket", bucket)
-    # At most MOST_RANGES + 1 rows from here on.
-    tops = rows.groupBy("bucket").agg(F.max(F.struct("doc_id", "th")).alias("top"))
+    """docs(doc_id, text, th) with `bucket` (rising with doc_id and text digest) and `halo` (rows dealt a second time).
+
+    Buckets hold about RANGE_ROWS documents each, whatever the ids are: their cuts are every so manieth key of all
+    documents, from ranks within ranges of keys. Within a bucket, the row after the last in descending order is the halo row:
+    the first one of the next lower bucket in use, or, for the lowest, the very first document."""
+    spark = docs.sparkSession
+    slim = cut(docs.select(order_key().alias("key")))
+    total = slim.count()
+    every = max(RANGE_ROWS, total // MOST_RANGES)
+    ranged = slim.repartitionByRange(int(spark.conf.get("spark.sql.shuffle.partitions")), "key").withColumn("pid", F.spark_partition_id())
+    ranked = ranged.withColumn("rank", F.row_number().over(Window.partitionBy("pid").orderBy("key")))
+    # At most MOST_RANGES keys and one for each partition; one row with all of them from here on.
+    cuts = cut(ranked.where((F.col("rank") % every) == 1).agg(F.array_sort(F.collect_set("key")).alias("cuts")))
+    bucketed = lambda df, key: df.withColumn("cuts", cuts.scalar()).withColumn("bucket", place(F.col("cuts"), key)).drop("cuts")
+    tops = bucketed(slim, F.col("key")).groupBy("bucket").agg(F.max("key").alias("top"))
     up = Window.orderBy("bucket")
     tops = tops.withColumn("to", F.lead("bucket").over(up)).withColumn("lowest", F.min("bucket").over(Window.partitionBy()))
-    tops = tops.select(F.col("bucket").alias("b"), "top", F.coalesce("to", "lowest").alias("to"))
-    halo = rows.join(F.broadcast(tops), (F.col("bucket") == F.col("b")) & F.col("doc_id").eqNullSafe(F.col("top.doc_id")) & F.col("th").eqNullSafe(F.col("top.th")))
+    tops = cut(tops.select("top", F.coalesce("to", "lowest").alias("to")))
+    rows = docs.withColumn("key", order_key())
+    halo = rows.join(F.broadcast(tops), F.col("key") == F.col("top")).dropDuplicates(["to"])
     halo = halo.select("doc_id", "text", "th", F.col("to").alias("bucket"), F.lit(True).alias("halo"))
-    return rows.withColumn("halo", F.lit(False)).unionByName(halo)
+    rows = bucketed(rows, F.col("key")).select("doc_id", "text", "th", "bucket", F.lit(False).alias("halo"))
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), min(MOST_PARTS, total // PART_ROWS))
+    return rows.unionByName(halo).repartition(parts, "bucket")
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
