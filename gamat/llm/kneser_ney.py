@@ -5,22 +5,27 @@ begin marks before each text) is counted on the executors; continuation counts,
 weights and the interpolated probabilities come from aggregations and joins of those sharded count tables. Nothing is
 sampled, pruned or capped: what is gathered grows with the trusted text.
 
-Scoring looks up, for each character, the longest known 4-, 3-, 2- or 1-gram and adds the back-off weights passed on the
-way. Tables of up to SMALL rows are broadcast and looked up in blocks of text; larger ones are joined, shard by shard,
-with the n-gram counts of the documents. Both give the same perplexities.
+Scoring: every different 4-gram of the documents is joined, order by order, with the shards of the count tables, which
+gives it one logarithm with back-off. The most frequent ones (up to SMALL) are then broadcast and summed in blocks of
+text; the rare rest is joined shard by shard with the n-gram counts of the documents. See `score`.
 
-A document is rejected if its perplexity exceeds SLACK (1: nothing is added) times the QUANTILE of the trusted documents
-of its language and length class. Classes with fewer than ENOUGH trusted documents use the language's threshold. Languages without
-trusted text, and empty texts, have no perplexity and are kept.
+A document is rejected if its perplexity exceeds the threshold of its language and length: the logarithm of perplexity may
+lie above the median of the language's trusted documents by the QUANTILE of what theirs do, scaled by the root of the
+length (SLACK 1: nothing is added). The trusted documents behind a threshold are scored by models that have not seen them:
+they are dealt into FOLDS by digest, and a fold's documents are scored by the counts of the other folds. Words with a digit
+or "@" count as one sign. Languages without trusted text, and empty texts, have no perplexity and are kept; a perplexity
+that equals its threshold is kept.
 
 Null text counts as empty; null lang is a language of its own, "<null>". Repeated rows share one fate. Characters
-beyond the basic plane count as one character. Other columns are kept by `keep_good`, whatever their names. An empty
-table gives an empty result.
+beyond the basic plane count as one character. Very long texts are scored whole, in arrays of 8 bytes a character. Other
+columns are kept by `keep_good`, whatever their names. An empty table gives an empty result.
 """
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
+from statistics import NormalDist
 
 import numpy as np
 import pandas as pd
@@ -30,9 +35,17 @@ from pyspark.sql import functions as F
 from .common import cut, map_slices
 
 ORDER, BITS, BEGIN, OTHER = 4, 16, 0, 0xFFFD
-QUANTILE, SLACK, ENOUGH = 0.99, 1.0, 50
-SMALL, CHUNK = 4_000_000, 1_000_000
-LENGTHS = [32, 128, 512]
+QUANTILE, SLACK, TAIL = 0.99, 1.0, 1.5
+FOLDS, MARK = 4, "\x01"
+#: Largest tables that are broadcast, in rows (16 bytes each); texts are scored about CHUNK characters at a time.
+SMALL, CHUNK = 2_000_000, 500_000
+HINT, FIELD = re.compile("[0-9@]"), re.compile(r"(?<!\S)[^\s0-9@]*+[0-9@]\S*+")
+
+
+def plain(text: str) -> str:
+    """The text as the model reads it: a word with a digit or "@" (number, address, key) is one sign, as its characters say
+    nothing of the prose around it."""
+    return FIELD.sub("0", text) if HINT.search(text) else text
 
 
 def gram_keys(text: str) -> np.ndarray:
@@ -51,13 +64,8 @@ def trusted_ids(labels: DataFrame) -> DataFrame:
     return labels.where("quality = 1 and toxic = 0 and doc_id is not null").select("doc_id").distinct()
 
 
-def with_small(df: DataFrame, right: DataFrame, on, how: str) -> DataFrame:
-    right = cut(right)
-    return df.join(F.broadcast(right) if right.count() <= SMALL else right, on, how)
-
-
 def language() -> Column:
-    return F.coalesce("lang", F.lit("<null>"))
+    return F.translate(F.coalesce("lang", F.lit("<null>")), MARK, " ")
 
 
 def count_grams(docs: DataFrame) -> DataFrame:
@@ -75,6 +83,7 @@ def count_grams(docs: DataFrame) -> DataFrame:
         for b in batches:
             for lang, text in zip(b["lang"], b["text"], strict=True):
                 if text:
+                    text = plain(text)
                     held.setdefault(lang, []).append(gram_keys(text))
                     size[lang] = size.get(lang, 0) + len(text)
                     if size[lang] >= CHUNK:
@@ -91,10 +100,15 @@ def low(k: str, n: int) -> Column:
 
 
 def train(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(grams: n, lang, k, lp) and (contexts: n, lang, k, lg), natural logarithms, of docs(lang, text).
+    """The model of docs(lang, text), see `train_counts`."""
+    return train_counts(count_grams(docs))
+
+
+def train_counts(top: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(grams: n, lang, k, lp) and (contexts: n, lang, k, lg), natural logarithms, of 4-gram counts top(lang, k, c).
 
     contexts with n = 0: the logarithm of an unseen character's probability, k = 0."""
-    counts = {ORDER: cut(count_grams(docs))}
+    counts = {ORDER: cut(top)}
     for n in range(ORDER - 1, 0, -1):
         counts[n] = cut(counts[n + 1].select("lang", low("k", n).alias("k")).groupBy("lang", "k").agg(F.count("*").alias("c")))
     below, grams, contexts = None, [], []
@@ -127,115 +141,160 @@ def train(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     return cut(union(grams)), cut(union(contexts))
 
 
-def score_blocks(rows: DataFrame, grams: DataFrame, contexts: DataFrame) -> DataFrame:
-    """id, n, nats of rows(id, lang, text), with broadcast tables."""
-    tables: dict = {}
-    for frame, value in ((grams, "lp"), (contexts, "lg")):
-        t = frame.toArrow()
-        lang, n, k, v = np.array(t["lang"].to_pylist(), object), t["n"].to_numpy(), t["k"].to_numpy().view(np.uint64), t[value].to_numpy()
-        for one in set(lang.tolist()):
-            for m in range(ORDER + 1):
-                at = (lang == one) & (n == m)
-                if at.any():
-                    order = np.argsort(k[at])
-                    tables[one, value, m] = (k[at][order], v[at][order])
-    shared = rows.sparkSession.sparkContext.broadcast(tables)
-
-    def nats(lang: str, keys: np.ndarray) -> np.ndarray:
-        t, out, todo = shared.value, np.zeros(len(keys)), np.arange(len(keys))
-        for n in range(ORDER, 0, -1):
-            k = keys[todo] & np.uint64((1 << (BITS * n)) - 1)
-            known, lp = t[lang, "lp", n]
-            at = np.minimum(np.searchsorted(known, k), len(known) - 1)
-            hit = known[at] == k
-            out[todo[hit]] += lp[at[hit]]
-            todo, k = todo[~hit], k[~hit]
-            if not len(todo):
-                break
-            known, lg = t[lang, "lg", n - 1]
-            ctx = k >> np.uint64(BITS) if n > 1 else np.zeros(len(k), np.uint64)
-            at = np.minimum(np.searchsorted(known, ctx), len(known) - 1)
-            hit = known[at] == ctx
-            out[todo[hit]] += lg[at[hit]]
-        return out
+def resolve(asked: DataFrame, grams: DataFrame, contexts: DataFrame) -> DataFrame:
+    """lang, k, c, v: natural logarithm of the probability of each 4-gram of asked(lang, k, c), with back-off.
+
+    Joins of count shards: each different n-gram that is asked for is one row, whatever the number of documents that hold
+    it, so no key is hot - a suffix has as many rows as there are characters before it."""
+    levels = {ORDER: asked.select("lang", "k")}
+    for n in range(ORDER - 1, 0, -1):
+        levels[n] = levels[n + 1].select("lang", low("k", n).alias("k")).distinct()
+    value = None
+    for n in range(1, ORDER + 1):
+        g = grams.where(F.col("n") == n).select("lang", "k", "lp")
+        h = contexts.where(F.col("n") == n - 1).select("lang", F.col("k").alias("ctx"), "lg")
+        x = levels[n].join(g, ["lang", "k"], "left").withColumn("ctx", F.shiftrightunsigned("k", BITS) if n > 1 else F.lit(0).cast("long"))
+        x = x.join(F.broadcast(h) if n == 1 else h, ["lang", "ctx"], "left")  # n = 1: one row per language
+        below = F.lit(0.0)
+        if value is not None:
+            x = x.withColumn("suffix", low("k", n - 1)).join(value.select("lang", F.col("k").alias("suffix"), F.col("v").alias("below")), ["lang", "suffix"])
+            below = F.col("below")
+        value = cut(x.select("lang", "k", F.coalesce(F.col("lp"), F.coalesce("lg", F.lit(0.0)) + below).alias("v")))
+    return value.join(asked, ["lang", "k"])
+
+
+def score(rows: DataFrame, grams: DataFrame, contexts: DataFrame, small: int = SMALL) -> DataFrame:
+    """id, lang, n, nats: one row per different (id, lang) of rows(id, lang, text).
+
+    The logarithms of all 4-grams of the rows come from joins of count shards (`resolve`). The `small` most frequent of
+    them are broadcast and summed where the texts are; the rare rest is sent to its shards as (id, lang, k, c), joined
+    and summed per document. Nothing is left out: with `small` = 0 everything takes the second way."""
+    langs = grams.select("lang").distinct()
+    asked = cut(count_grams(rows.join(F.broadcast(langs), "lang", "left_semi")))
+    table = cut(resolve(asked, grams, contexts))
+    total = table.count()
+    edge = -1 if total <= small else table.agg(F.percentile_approx("c", max(0.0, 1 - small / total), 10000)).first()[0] if small else None
+    head = table.where(F.col("c") > edge if edge is not None else F.lit(False)).select("lang", "k", "v")
+    found, tables = head.toArrow(), {}
+    names = found["lang"].combine_chunks().dictionary_encode()
+    code, k, v = names.indices.to_numpy(), found["k"].to_numpy().view(np.uint64), found["v"].to_numpy()
+    for j, lang in enumerate(names.dictionary.to_pylist()):
+        own = np.flatnonzero(code == j)
+        own = own[np.argsort(k[own])]
+        tables[lang] = (k[own], v[own])
+    known = {r["lang"] for r in langs.collect()}  # one row per language and fold
+    shared = rows.sparkSession.sparkContext.broadcast((known, tables))
+    del found, names, code, k, v, tables
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        models, held = shared.value
+        empty = (np.zeros(0, np.uint64), np.zeros(0))
         for b in batches:
-            ids, n, sums = b["id"].to_numpy(), np.zeros(len(b), np.int64), np.full(len(b), np.nan)
+            ids, langs_, n, sums = b["id"].to_numpy(), b["lang"].to_numpy(), np.zeros(len(b), np.int64), np.full(len(b), np.nan)
             queue: dict[str, list] = {}
+            rare: list[pd.DataFrame] = []
 
             def settle(lang: str) -> None:
                 some = queue.pop(lang)
-                v = -nats(lang, np.concatenate([k for _, k in some]))
-                starts = np.cumsum([0] + [len(k) for _, k in some[:-1]])
-                sums[[i for i, _ in some]] = np.add.reduceat(v, starts)
-
-            held: dict[str, int] = {}
-            for i, (lang, text) in enumerate(zip(b["lang"], b["text"], strict=True)):
+                keys, values = held.get(lang, empty)
+                all_, at_row = np.concatenate([x for _, x in some]), np.array([i for i, _ in some])
+                lengths = np.array([len(x) for _, x in some])
+                at = np.minimum(np.searchsorted(keys, all_), max(0, len(keys) - 1))
+                hit = keys[at] == all_ if len(keys) else np.zeros(len(all_), bool)
+                nats = np.zeros(len(all_))
+                nats[hit] = -values[at[hit]]
+                sums[at_row] = np.add.reduceat(nats, np.cumsum(lengths) - lengths)
+                if not hit.all():
+                    miss = pd.DataFrame({"id": ids[np.repeat(at_row, lengths)[~hit]], "lang": lang, "k": all_[~hit].view(np.int64)})
+                    rare.append(miss.groupby(["id", "lang", "k"], sort=False).size().rename("c").reset_index())
+
+            size: dict[str, int] = {}
+            for i, (lang, text) in enumerate(zip(langs_, b["text"], strict=True)):
+                text = plain(text)
                 n[i] = len(text)
-                if text and (lang, "lp", 1) in shared.value:
+                if text and lang in models:
                     queue.setdefault(lang, []).append((i, gram_keys(text)))
-                    held[lang] = held.get(lang, 0) + len(text)
-                    if held[lang] > CHUNK:
+                    size[lang] = size.get(lang, 0) + len(text)
+                    if size[lang] > CHUNK:
                         settle(lang)
-                        held[lang] = 0
+                        size[lang] = 0
             for lang in list(queue):
                 settle(lang)
-            yield pd.DataFrame({"id": ids, "n": n, "nats": sums})
+            yield pd.DataFrame({"id": ids, "lang": langs_, "n": n, "nats": sums, "k": None, "c": None})
+            for r in rare:
+                yield pd.DataFrame({"id": r["id"], "lang": r["lang"], "n": None, "nats": None, "k": r["k"], "c": r["c"]})
 
-    return map_slices(rows.select("id", "lang", "text"), run, "id long, n long, nats double")
+    out = map_slices(rows.select("id", "lang", "text"), run, f"id {dict(rows.dtypes)['id']}, lang string, n long, nats double, k long, c long")
+    if edge == -1:
+        return out.dropDuplicates(["id", "lang"]).select("id", "lang", "n", "nats")
+    out = cut(out)
+    here = out.where("k is null").groupBy("id", "lang").agg(F.first("n").alias("n"), F.first("nats").alias("nats"), F.count("*").alias("copies"))
+    # A row that is there so many times sends its rare n-grams so many times.
+    there = out.where("k is not null").select("id", "lang", "k", "c").join(table.select("lang", "k", "v"), ["lang", "k"])
+    there = there.groupBy("id", "lang").agg(F.sum(-F.col("v") * F.col("c")).alias("more"))
+    return here.join(there, ["id", "lang"], "left").select("id", "lang", "n", (F.col("nats") + F.coalesce("more", F.lit(0.0)) / F.col("copies")).alias("nats"))
+
+
+def score_blocks(rows: DataFrame, grams: DataFrame, contexts: DataFrame) -> DataFrame:
+    """id, lang, n, nats, frequent n-grams from a broadcast table."""
+    return score(rows, grams, contexts)
 
 
 def score_shards(rows: DataFrame, grams: DataFrame, contexts: DataFrame) -> DataFrame:
-    """id, n, nats of rows(id, lang, text), by joins of the documents' n-gram counts with the count shards."""
+    """id, lang, n, nats, all n-grams by joins."""
+    return score(rows, grams, contexts, small=0)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            for i, lang, text in zip(b["id"], b["lang"], b["text"], strict=True):
-                if text:
-                    k, c = np.unique(gram_keys(text), return_counts=True)
-                    yield pd.DataFrame({"id": i, "lang": lang, "k": k.view(np.int64), "c": c})
-
-    x = map_slices(rows.select("id", "lang", "text"), run, "id long, lang string, k long, c long")
-    x = x.withColumn("sum", F.lit(0.0)).withColumn("open", F.lit(True))
-    for n in range(ORDER, 0, -1):
-        g = grams.where(F.col("n") == n).select("lang", F.col("k").alias("g"), "lp")
-        h = contexts.where(F.col("n") == n - 1).select("lang", F.col("k").alias("h"), "lg")
-        x = x.withColumn("g", low("k", n)).join(g, ["lang", "g"], "left")
-        x = x.withColumn("h", F.shiftrightunsigned("g", BITS) if n > 1 else F.lit(0).cast("long")).join(h, ["lang", "h"], "left")
-        x = x.withColumn("sum", F.col("sum") + F.when(F.col("open"), F.coalesce("lp", "lg", F.lit(0.0))).otherwise(0.0))
-        x = x.withColumn("open", F.col("open") & F.col("lp").isNull()).select("id", "lang", "k", "c", "sum", "open")
-    langs = grams.select("lang").distinct()
-    x = x.join(langs, "lang", "left_semi").groupBy("id").agg(F.sum(-F.col("sum") * F.col("c")).alias("nats"))
-    # A row that is there k times has its n-grams k times.
-    sizes = rows.groupBy("id").agg(F.first(F.length("text").cast("long")).alias("n"), F.count("*").alias("copies"))
-    return sizes.join(x, "id", "left").select("id", "n", (F.col("nats") / F.col("copies")).alias("nats"))
 
+def split_counts(rows: DataFrame, folds: int) -> DataFrame:
+    """Counts of the models of each language: of all rows(lang, fold, text), under its own name, and of all folds but one."""
+    fold = F.concat("lang", F.lit(MARK), F.col("fold").cast("string"))
+    counted = cut(count_grams(rows.select(fold.alias("lang"), "text")))
+    parts = F.split("lang", MARK)
+    counted = counted.select(F.element_at(parts, 1).alias("lang"), F.element_at(parts, 2).cast("int").alias("fold"), "k", "c")
+    models = F.array(F.col("lang"), *[F.when(F.col("fold") != f, F.concat("lang", F.lit(f"{MARK}{f}"))) for f in range(folds)])
+    spread = counted.select(F.explode(models).alias("lang"), "k", "c").where("lang is not null")
+    return spread.groupBy("lang", "k").agg(F.sum("c").alias("c"))
 
-def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, slack: float = SLACK, small: int = SMALL) -> DataFrame:
+
+def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, slack: float = SLACK, small: int = SMALL, folds: int = FOLDS) -> DataFrame:
     """id (digest of the row), doc_id, lang, n, perplexity, threshold, keep: for every row of docs(doc_id, lang, text)."""
-    rows = docs.select(row_id().alias("id"), "doc_id", language().alias("lang"), F.coalesce("text", F.lit("")).alias("text"))
     trusted = cut(trusted_ids(labels))
-    few = trusted.count() <= SMALL
-    mark = F.broadcast(trusted) if few else trusted
-    grams, contexts = train(rows.join(mark, "doc_id", "left_semi"))
-    score = score_blocks if grams.count() + contexts.count() <= small else score_shards
-    slim = rows.select("id", "doc_id", "lang")
-    found = cut(score(rows, grams, contexts).dropDuplicates(["id"]))
+    mark = trusted.withColumn("good", F.lit(True))
+    rows = docs.select(row_id().alias("id"), "doc_id", language().alias("lang"), F.coalesce("text", F.lit("")).alias("text"))
+    rows = rows.join(F.broadcast(mark) if trusted.count() <= SMALL else mark, "doc_id", "left")
+    fold = F.pmod(F.xxhash64("id"), F.lit(folds)).cast("int")
+    grams, contexts = train_counts(split_counts(rows.where("good").select("lang", fold.alias("fold"), "text"), folds))
+    # Trusted documents are scored twice: by the model of all of them, and by the one that has not seen their fold.
+    models = F.array(F.col("lang"), F.when(F.col("good"), F.concat("lang", F.lit(MARK), fold.cast("string"))))
+    asked = rows.select("id", F.explode(models).alias("lang"), "text").where("lang is not null")
     perplexity = F.when(F.col("n") > 0, F.exp(F.when(~F.isnan("nats"), F.col("nats")) / F.col("n")))
-    length = sum(((F.col("n") >= b).cast("int") for b in LENGTHS), F.lit(0))
-    scored = cut(slim.join(found, "id").withColumn("perplexity", perplexity).withColumn("length", length))
-    good = scored.join(mark, "doc_id", "left_semi").where("perplexity is not null")
-    at = F.percentile_approx("perplexity", quantile, 10000)
-    by_length = good.groupBy("lang", "length").agg(at.alias("t1"), F.count("*").alias("m")).where(F.col("m") >= ENOUGH).drop("m")
-    by_lang = good.groupBy("lang").agg(at.alias("t0"))
-    out = scored.join(F.broadcast(by_length), ["lang", "length"], "left").join(F.broadcast(by_lang), "lang", "left")
-    out = out.withColumn("threshold", slack * F.coalesce("t1", "t0"))
-    return out.select("id", "doc_id", "lang", "n", "perplexity", "threshold", F.coalesce(F.col("perplexity") <= F.col("threshold"), F.lit(True)).alias("keep"))
+    found = cut(score(asked, grams, contexts, small).withColumn("perplexity", perplexity))
+    unseen = found.where(F.col("lang").contains(MARK)).select("id", F.col("perplexity").alias("unseen"))
+    scored = cut(rows.select("id", "doc_id", "lang", "good").join(found.select("id", "lang", "n", "perplexity"), ["id", "lang"]).join(unseen, "id", "left"))
+    return scored.join(F.broadcast(thresholds(scored, quantile)), "lang", "left").select(
+        "id", "doc_id", "lang", "n", "perplexity", (slack * F.exp(F.col("center") + F.col("excess") / F.sqrt("n"))).alias("threshold"),
+    ).withColumn("keep", F.coalesce(F.col("perplexity") <= F.col("threshold"), F.lit(True)))
+
+
+def thresholds(scored: DataFrame, quantile: float) -> DataFrame:
+    """lang, center, excess of scored(lang, good, n, perplexity, unseen): one row per language.
+
+    center: median logarithm of the unseen perplexity of trusted documents; excess: the quantile of what lies above it, times
+    the root of the length, as chance moves the mean of n characters by one part in that root. Where few documents leave the
+    quantile to single outliers, it ends at TAIL times the quantile of a normal distribution with the same quartiles."""
+    # A language with trusted documents in one fold only has no other model: its own stands in.
+    good = scored.where("good and perplexity is not null and n > 0").select("lang", "n", F.log(F.coalesce("unseen", "perplexity")).alias("h"))
+    center = good.groupBy("lang").agg(F.percentile_approx("h", 0.5, 10000).alias("center"))
+    above = good.join(F.broadcast(center), "lang").withColumn("z", (F.col("h") - F.col("center")) * F.sqrt("n"))
+    found = above.groupBy("lang").agg(F.first("center").alias("center"), F.percentile_approx("z", [quantile, 0.25, 0.75], 10000).alias("q"))
+    normal = (F.get("q", F.lit(2)) - F.get("q", F.lit(1))) * (TAIL * NormalDist().inv_cdf(quantile) / (2 * NormalDist().inv_cdf(0.75)))
+    return found.select("lang", "center", F.when(normal > 0, F.least(F.get("q", F.lit(0)), normal)).otherwise(F.get("q", F.lit(0))).alias("excess"))
 
 
 def row_id() -> Column:
-    return F.xxhash64("doc_id", "lang", "text")
+    """Digest of a row; a null differs from every value."""
+    part = lambda c: F.coalesce(F.concat(F.lit("="), F.col(c).cast("string")), F.lit("-"))
+    return F.md5(F.concat_ws("\0", part("doc_id"), part("lang"), part("text")).cast("binary"))
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
