@@ -9,10 +9,12 @@ many documents at once; tokens inside base spans are clamped to their kind. Toke
 another label than "none" are added.
 
 Training: base spans and a few secret formats label the tokens of about SAMPLE documents with candidates (a documented
-bound, drawn by hash); a part of those labels is hidden behind neutral contexts so that shape alone must do.
+bound, drawn by hash), and repeats of such a secret in the same document count as secrets too; every token is also shown
+without its context, so that shape alone must do.
 
 Null text counts as empty. Repeated rows are treated alike; other columns are ignored; an empty table gives an empty
-result. Without training rows only base spans are returned.
+result. Without training rows only base spans are returned. Of labels that tie, the first listed wins. Very long texts are
+read whole: memory grows with their candidate tokens, not with pairs of them.
 """
 
 from __future__ import annotations
@@ -32,7 +34,7 @@ from .common import map_slices
 
 KINDS = ["email", "ip", "card", "phone"]
 LABELS = ["none", *KINDS, "secret"]
-SAMPLE, STEPS, ROUNDS = 6000, 300, 8
+SAMPLE, STEPS, ROUNDS, LINKS = 6000, 300, 8, 50_000
 CUES = 128
 
 # Patterns.
@@ -109,7 +111,7 @@ def candidates(text: str) -> list[tuple[int, int]]:
 
 def features(text: str, a: int, b: int) -> list[int]:
     """Indices of the binary features of a token that hold."""
-    t = text[a : min(b, a + 200)]
+    t = text[a:b]
     n = len(t)
     digit = sum(c in "0123456789" for c in t) / n
     upper = sum("A" <= c <= "Z" for c in t) / n
@@ -118,7 +120,9 @@ def features(text: str, a: int, b: int) -> list[int]:
     length = min(11, int(np.log2(n) * 2))
     kinds = len(set(t)) / n
     cue = text[max(0, a - 24) : a].rstrip(" \"'(").lower()
-    word = re.sub("[^a-z+=:]", "", cue.split(" ")[-1])[-10:]
+    words = cue.split(" ")
+    # A sign by itself, such as "=", says something only with the word before it.
+    word = re.sub("[^a-z+=:]", "", words[-1] if re.search("[a-z]", words[-1]) else "".join(words[-2:]))[-10:]
     out = [0, 1 + length, 13 + int(digit * 4.99), 18 + int(upper * 4.99), 23 + int(low * 4.99), 28 + min(3, int(kinds * 4))]
     out += [32 + i for i, c in enumerate(".-@+:/_") if c in t]
     out += [40 + min(3, t.count("."))]
@@ -177,21 +181,28 @@ class Field:
         links = np.array(chain + skip, np.int64).reshape(-1, 2)
         if not len(links):
             return unary.argmax(axis=1)
-        pair = np.empty((len(links), k, k))
-        pair[: len(chain)] = self.chain
-        pair[len(chain) :] = self.skip * np.eye(k)
+        return self.beliefs(unary, links, len(chain)).argmax(axis=1)
+
+    def beliefs(self, unary: np.ndarray, links: np.ndarray, chained: int, rounds: int = ROUNDS) -> np.ndarray:
+        """Logarithms, up to a constant per node, of the marginals after so many rounds; the first `chained` links are chain
+        links. Messages are made LINKS at a time, so that a very long document needs no more than its nodes and links."""
+        k = unary.shape[1]
         a, b = links.T
+        same = self.skip * np.eye(k)
         to_b, to_a = np.zeros((len(links), k)), np.zeros((len(links), k))
         belief = unary
-        for _ in range(ROUNDS):
-            out_a, out_b = belief[a] - to_a, belief[b] - to_b
-            to_b, to_a = lse(out_a[:, :, None] + pair, 1), lse(out_b[:, None, :] + pair, 2)
+        cuts = sorted({0, chained, len(links), *range(0, len(links), LINKS)})
+        for _ in range(rounds):
+            for lo, hi in zip(cuts, cuts[1:], strict=False):
+                pair = self.chain if lo < chained else same
+                out_a, out_b = belief[a[lo:hi]] - to_a[lo:hi], belief[b[lo:hi]] - to_b[lo:hi]
+                to_b[lo:hi], to_a[lo:hi] = lse(out_a[:, :, None] + pair, 1), lse(out_b[:, None, :] + pair, 2)
             to_b -= to_b.max(axis=1, keepdims=True)
             to_a -= to_a.max(axis=1, keepdims=True)
             belief = unary.copy()
             np.add.at(belief, b, to_b)
             np.add.at(belief, a, to_a)
-        return belief.argmax(axis=1)
+        return belief
 
 
 def lse(x: np.ndarray, axis: int) -> np.ndarray:
@@ -216,6 +227,10 @@ def train(docs: DataFrame, sample: int = SAMPLE) -> Field | None:
                 for i, (s, e) in enumerate(tokens):
                     if label[i] == 0 and any(x <= s and e <= y for x, y in known):
                         label[i] = LABELS.index("secret")
+                # What is a secret at one place is one wherever it stands in the document.
+                keys = [sameness(text[s:e]) for s, e in tokens]
+                shared = {key for key, y in zip(keys, label, strict=True) if y == LABELS.index("secret") and len(key) >= 5}
+                label = np.array([LABELS.index("secret") if not y and key in shared else y for key, y in zip(keys, label, strict=True)], np.int64)
                 chain, skip = links_of(text, tokens)
                 out += [("node", int(y), 0, 0, features(text, s, e)) for (s, e), y in zip(tokens, label, strict=True)]
                 out += [("chain", int(label[i]), int(label[j]), 0, []) for i, j in chain]
@@ -250,11 +265,11 @@ def train(docs: DataFrame, sample: int = SAMPLE) -> Field | None:
     chain = np.log(count / count.sum()) - np.log(count.sum(axis=1, keepdims=True) / count.sum()) - np.log(count.sum(axis=0, keepdims=True) / count.sum())
     skips = t[t["what"] == "skip"]
     agree = skips[skips["y"] == skips["z"]]["m"].sum()
-    return Field(w.astype(np.float64), np.clip(chain, -2, 2), float(np.clip(np.log((agree + 1) / (skips["m"].sum() - agree + 1)), 0.5, 4)))
+    return Field(w.astype(np.float64), np.clip(chain, -2, 2), float(np.clip(np.log((agree + 1) / (skips["m"].sum() - agree + 1)), 0.5, 8)))
 
 
 def find_entities(docs: DataFrame, model: Field | None, block: int = 4000) -> DataFrame:
-    """doc_id, n_email, n_ip, n_card, n_phone (base spans), base_sha256, spans (base and added), n_added."""
+    """doc_id, n_email, n_ip, n_card, n_phone (base spans), base_sha256, spans (base and added), n_added, n_spans (all)."""
     shared = docs.sparkSession.sparkContext.broadcast(cloudpickle.dumps(model))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -290,12 +305,12 @@ def find_entities(docs: DataFrame, model: Field | None, block: int = 4000) -> Da
             rows = []
             for own, more in zip(base, added, strict=True):
                 every = sorted(own + more, key=lambda x: (LABELS.index(x[0]), x[1]))
-                rows.append((*[sum(k == x[0] for x in own) for k in KINDS], hashlib.sha256(spans_text(own).encode()).hexdigest(), spans_text(every), len(more)))
-            out = pd.DataFrame(rows, columns=["n_email", "n_ip", "n_card", "n_phone", "base_sha256", "spans", "n_added"])
+                rows.append((*[sum(k == x[0] for x in own) for k in KINDS], hashlib.sha256(spans_text(own).encode()).hexdigest(), spans_text(every), len(more), len(every)))
+            out = pd.DataFrame(rows, columns=["n_email", "n_ip", "n_card", "n_phone", "base_sha256", "spans", "n_added", "n_spans"])
             out.insert(0, "doc_id", b["doc_id"])
             yield out
 
-    return map_slices(docs.select("doc_id", "text"), run, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long")
+    return map_slices(docs.select("doc_id", "text"), run, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long, n_spans long")
 
 
 def op1_skip_chain(spark, sf_dir: str) -> DataFrame:
