@@ -5,10 +5,12 @@ contain. The rule is filed under the one of its tokens that is rarest among the
 of them). A URL fetches the rules filed under its own tokens, and only those run their regular expression.
 
 Everything is DataFrame expressions. Up to `inline_limit` rules the index is a literal map inside the plan (no
-shuffle at all); larger rule sets are joined on the token, on distinct URLs.
+shuffle at all); larger rule sets are joined on the token, on distinct URLs. Rules are a list on the driver, so the index is
+broadcast whatever its length, and no frequent token is a hot key.
 
-Null URL, or one without "://": host and path are empty and no rule fits. Repeated rows are judged alike.
-Other columns of the table are ignored. An empty table gives an empty result.
+Null URL, or one without "://": host and path are empty and no rule fits. Repeated rows are judged alike. Rules of equal
+length: the later one by name wins. Very long URLs are judged whole. Other columns of the table are ignored. An empty table
+gives an empty result.
 """
 
 from __future__ import annotations
@@ -64,10 +66,16 @@ def host_path(url: Column) -> tuple[Column, Column]:
     return F.translate(host, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), path
 
 
-def rarest(urls: DataFrame, rules: list[UrlRule]) -> dict[str, list[UrlRule]]:
+def rarest(urls: DataFrame, rules: list[UrlRule], inline_limit: int = 2000) -> dict[str, list[UrlRule]]:
     """Index token -> rules. Reads all URLs once; what reaches the driver is one count per token of the rules."""
     words = sorted({t for r in rules for t in r.tokens})
-    counts = urls.select(F.explode("tokens").alias("t")).where(F.col("t").isin(words)).groupBy("t").count()
+    tokens = urls.select(F.explode("tokens").alias("t"))
+    if len(words) <= inline_limit:
+        tokens = tokens.where(F.col("t").isin(words))
+    else:
+        # As long as the rules, which are on the driver anyway.
+        tokens = tokens.join(F.broadcast(urls.sparkSession.createDataFrame([(w,) for w in words], "t string")), "t", "left_semi")
+    counts = tokens.groupBy("t").count()
     seen = {r["t"]: r["count"] for r in counts.collect()}
     index: dict[str, list[UrlRule]] = {}
     for r in rules:
@@ -83,7 +91,7 @@ def judge(pages: DataFrame, rules: list[UrlRule] = RULES, default: str = "allow"
     host, path = host_path(F.col("url"))
     urls = pages.select("page_id", "url", host.alias("host"), path.alias("path"))
     urls = urls.withColumn("tokens", F.array_distinct(F.filter(F.split(F.concat("host", "path"), "[^A-Za-z0-9]+"), lambda t: t != "")))
-    index = rarest(urls, rules)
+    index = rarest(urls, rules, inline_limit)
     entry = "struct<listed:boolean,len:int,name:string,verdict:string,pattern:string>"
     if len(rules) <= inline_limit:
         flat = [(t, [(r.listed, len(r.name), r.name, r.verdict, r.pattern) for r in rs]) for t, rs in sorted(index.items())]
@@ -98,7 +106,7 @@ def judge(pages: DataFrame, rules: list[UrlRule] = RULES, default: str = "allow"
         rows = [(t, r.listed, len(r.name), r.name, r.verdict, r.pattern) for t, rs in index.items() for r in rs]
         table = spark.createDataFrame(rows, "t string, listed boolean, len int, name string, verdict string, pattern string")
         keys = urls.select("host", "path", "tokens").distinct()
-        found = keys.select("host", "path", F.explode("tokens").alias("t")).join(table, "t").where(F.expr("concat(host, path) rlike pattern"))
+        found = keys.select("host", "path", F.explode("tokens").alias("t")).join(F.broadcast(table), "t").where(F.expr("concat(host, path) rlike pattern"))
         found = found.groupBy("host", "path").agg(F.collect_list(F.struct("listed", "len", "name", "verdict", "pattern")).alias("hits"))
         hits = urls.join(found, ["host", "path"], "left").withColumn("hits", F.coalesce("hits", F.array().cast(f"array<{entry}>")))
     listed = F.array_max(F.filter("hits", lambda r: r["listed"]))
