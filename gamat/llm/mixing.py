@@ -11,8 +11,9 @@ documents, so a bucket stays small), running sums over the buckets, and a sort o
 ends. What reaches the driver is one row per leaf.
 
 Null language, source or domain are leaves of their own, "<null>"; null text has no tokens. Repeated rows are
-documents of their own in the counts, and are chosen together. Other columns are kept by `choose`. An empty table
-gives an empty result. A weight that is not given counts `other`.
+documents of their own in the counts; they stand side by side in the seeded order and are chosen together, if the budget
+holds all of them. Ties in the seeded order go by doc_id. Very long texts are whole documents: one that does not fit ends the
+prefix. Other columns are kept by `choose`. An empty table gives an empty result. A weight that is not given counts `other`.
 """
 
 from __future__ import annotations
@@ -26,6 +27,8 @@ from pyspark.sql.window import Window
 from .common import cut
 
 LEAF = ["domain", "lang", "source"]
+#: Leaves up to which tables with a row per leaf are broadcast.
+LEAVES = 200_000
 WORD = r"[^ \t\n\x0B\f\r]+"
 #: Which sources make up the domains of the synthetic corpus; all others are "web".
 DOMAINS = {"books": ["src1", "src2", "src3", "src4"], "reference": ["src5", "src6", "src7"], "forum": ["src8", "src9"]}
@@ -68,21 +71,23 @@ def share(budget: int, capacity: dict, weight: dict) -> dict:
 
 def budgets(tokens: dict[tuple[str, str, str], int], total: int, weights: Weights, max_epochs: int) -> dict[tuple[str, str, str], int]:
     """Token budget of each leaf."""
+    tree: dict = {}
+    for (domain, lang, source), n in tokens.items():
+        tree.setdefault(domain, {}).setdefault(lang, {})[source] = n * max_epochs
     out = dict.fromkeys(tokens, 0)
 
-    def down(prefix: tuple, budget: int) -> None:
-        if len(prefix) == 3:
-            out[prefix] = budget
+    def holds(node) -> int:
+        return sum(map(holds, node.values())) if isinstance(node, dict) else node
+
+    def down(path: tuple, node, budget: int) -> None:
+        if len(path) == 3:
+            out[path] = budget
             return
-        level = len(prefix)
-        capacity: dict[str, int] = {}
-        for leaf, n in tokens.items():
-            if leaf[:level] == prefix:
-                capacity[leaf[level]] = capacity.get(leaf[level], 0) + n * max_epochs
-        for name, part in share(budget, capacity, {k: weights.of(level, k) for k in capacity}).items():
-            down((*prefix, name), part)
-
-    down((), total)
+        parts = share(budget, {k: holds(child) for k, child in node.items()}, {k: weights.of(len(path), k) for k in node})
+        for name, part in parts.items():
+            down((*path, name), node[name], part)
+
+    down((), tree, total)
     return out
 
 
@@ -101,6 +106,11 @@ def order_hash(seed: int, epoch: Column, doc_id: Column) -> Column:
     return F.xxhash64(F.lit(seed), epoch.cast("int"), doc_id)
 
 
+def small(per_leaf: DataFrame) -> DataFrame:
+    """Asks for a broadcast of a table with a row per leaf, if it is counted to have at most LEAVES rows."""
+    return F.broadcast(per_leaf) if per_leaf.count() <= LEAVES else per_leaf
+
+
 @dataclass
 class Choice:
     """leaves: domain, lang, source, tokens, budget, full (whole epochs), and the last (h, doc) chosen of the next epoch."""
@@ -126,7 +136,7 @@ def decide(docs: DataFrame, weights: Weights | None = None, fraction: float = 1.
     plan = spark.createDataFrame(rows, "domain string, lang string, source string, leaf_tokens long, budget long, full int, rest long")
     buckets = max(64, sum(v[1] for v in sums.values()) // per_bucket)
     h = order_hash(seed, F.col("full"), F.col("doc_id"))
-    some = slim.join(F.broadcast(plan.where("rest > 0")), LEAF).select(*LEAF, "rest", "doc_id", "tokens", h.alias("h"))
+    some = slim.join(small(plan.where("rest > 0")), LEAF).select(*LEAF, "rest", "doc_id", "tokens", h.alias("h"))
     bucket = F.least(F.floor((F.col("h").cast("double") / 2.0**64 + 0.5) * buckets), F.lit(buckets - 1)).cast("int")
     some = some.withColumn("bucket", bucket)
     by = some.groupBy(*LEAF, "bucket").agg(F.sum("tokens").alias("t"), F.max("rest").alias("rest"))
@@ -134,12 +144,12 @@ def decide(docs: DataFrame, weights: Weights | None = None, fraction: float = 1.
     by = by.withColumn("upto", F.sum("t").over(over)).withColumn("before", F.col("upto") - F.col("t"))
     edge = by.where("upto > rest").groupBy(*LEAF).agg(F.min(F.struct("bucket", "before")).alias("e")).select(*LEAF, "e.bucket", "e.before")
     edge = cut(edge)  # one row per leaf
-    inside = some.join(F.broadcast(edge), [*LEAF, "bucket"])
+    inside = some.join(small(edge), [*LEAF, "bucket"])
     inside = inside.withColumn("sum", F.col("before") + F.sum("tokens").over(Window.partitionBy(*LEAF, "bucket").orderBy("h", "doc_id")))
     last = inside.where("sum <= rest").groupBy(*LEAF).agg(F.max(F.struct("h", "doc_id")).alias("last"))
     # Without a document that fits in its bucket, everything before that bucket is chosen.
     low = (F.col("bucket").cast("double") / buckets - 0.5) * 2.0**64
-    leaves = plan.join(F.broadcast(edge), LEAF, "left").join(F.broadcast(last), LEAF, "left")
+    leaves = plan.join(small(edge), LEAF, "left").join(small(cut(last)), LEAF, "left")
     leaves = leaves.select(*LEAF, "leaf_tokens", "budget", "full", "rest", F.col("bucket").alias("edge"), F.lit(buckets).alias("buckets"), "last", low.alias("low"))
     return Choice(cut(leaves), slim, seed, domains)
 
@@ -147,7 +157,7 @@ def decide(docs: DataFrame, weights: Weights | None = None, fraction: float = 1.
 def copies(choice: Choice, rows: DataFrame, doc_id: str) -> DataFrame:
     """rows (with the leaf columns) with `copies`: in how many epochs each document is chosen."""
     h = order_hash(choice.seed, F.col("full"), F.col(doc_id))
-    both = rows.join(F.broadcast(choice.leaves), LEAF).withColumn("h", h)
+    both = rows.join(small(choice.leaves), LEAF).withColumn("h", h)
     bucket = F.least(F.floor((F.col("h").cast("double") / 2.0**64 + 0.5) * F.col("buckets")), F.col("buckets") - 1).cast("int")
     part = F.when(F.col("rest") <= 0, False).when(F.col("edge").isNull(), True).when(bucket < F.col("edge"), True).when((bucket > F.col("edge")) | F.col("last").isNull(), False)
     part = part.otherwise((F.col("h") < F.col("last.h")) | ((F.col("h") == F.col("last.h")) & (F.coalesce(F.col(doc_id) <= F.col("last.doc_id"), F.col(doc_id).isNull()))))
