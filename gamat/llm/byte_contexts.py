@@ -10,7 +10,7 @@ Training reads rows with a language outside the held-out fifth: all of them up t
 that a hash sample of that expected size (a documented bound). Counting is distributed; the driver gets one row per
 (language, 5 bytes) seen.
 
-Null or letterless text is "und" with score 0. Ties go to the alphabetically first language. Repeated rows are treated
+Null or letterless text is "und" with score 0. Very long texts are scored whole. Ties go to the alphabetically first language. Repeated rows are treated
 alike; other columns are ignored; an empty table gives an empty result; without training rows every text is "und".
 """
 

@@ -12,7 +12,8 @@ Recurring lines stay in the document with the smallest doc_id and are dropped ev
 `min_tokens` tokens always stay.
 
 Null text stays null; a null doc_id leaves its row as it is; empty text has one empty line. Repeated rows (one doc_id
-twice) count twice, but a template needs two different doc_ids to recur. Other columns are kept, whatever their names. An empty table gives an empty result.
+twice) count twice, but a template needs two different doc_ids to recur. Very long texts are parsed whole; a line of theirs is
+looked up among the lines that they lose. Other columns are kept, whatever their names. An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -93,7 +94,10 @@ def dropped_lines(docs: DataFrame, min_tokens: int = MIN_TOKENS, min_docs: int =
 def dedup_lines(docs: DataFrame, min_tokens: int = MIN_TOKENS, min_docs: int = MIN_DOCS, long_line: int = LONG_LINE) -> DataFrame:
     """All rows and columns of docs(doc_id, text, ...) in __row, with __lines, __dropped and the remaining __text."""
     drop = dropped_lines(docs.select("doc_id", "text"), min_tokens, min_docs, long_line)
-    both = docs.select(F.struct("*").alias("__row"), F.col("doc_id").alias("__id")).join(drop.select(F.col("doc_id").alias("__id"), F.col("drop").alias("__drop")), "__id", "left")
+    # Rows without an id lose nothing, and are dealt out by their texts.
+    deal = F.when(F.col("doc_id").isNull(), F.xxhash64("text")).otherwise(F.lit(0)).alias("__deal")
+    lost = drop.select(F.col("doc_id").alias("__id"), F.lit(0).cast("long").alias("__deal"), F.col("drop").alias("__drop"))
+    both = docs.select(F.struct("*").alias("__row"), F.col("doc_id").alias("__id"), deal).join(lost, ["__id", "__deal"], "left")
     text, none = F.col("__row.text"), F.col("__drop").isNull()
 
     def stays(line: Column) -> Column:
