@@ -2,6 +2,10 @@
 
 Each stage takes (spark, docs, sf_dir) and works on all rows its predecessor kept; all but the last return the
 columns of `documents`. `run` writes every stage's rows into the shared folder before the next one reads them.
+
+All stages take null, empty and very long texts, null ids, repeated rows and empty tables: quality keeps empty texts, lines
+drops rows without words, near_duplicates keeps one of repeated rows, mixture counts them apart, sequences packs each of
+them. An empty table gives empty results. Extra columns of any name go through all stages but the last.
 """
 
 from __future__ import annotations
