@@ -39,6 +39,8 @@ QUANTILE, SLACK, TAIL = 0.99, 1.0, 1.5
 FOLDS, MARK = 4, "\x01"
 #: Largest tables that are broadcast, in rows (16 bytes each); texts are scored about CHUNK characters at a time.
 SMALL, CHUNK = 2_000_000, 500_000
+#: Different n-grams that a counting task holds, and new ones that are worth a merge.
+HELD, MERGE = 2_000_000, 100_000
 HINT, FIELD = re.compile("[0-9@]"), re.compile(r"(?<!\S)[^\s0-9@]*+[0-9@]\S*+")
 
 
@@ -68,28 +70,58 @@ def language() -> Column:
     return F.translate(F.coalesce("lang", F.lit("<null>")), MARK, " ")
 
 
+class Counter:
+    """Counts of keys, as sorted arrays that are merged when what is new has grown as large as what is held."""
+
+    def __init__(self):
+        self.keys, self.counts, self.new, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int64), [], 0
+
+    def add(self, keys: np.ndarray) -> None:
+        self.new.append(np.unique(keys, return_counts=True))
+        self.size += len(self.new[-1][0])
+        if self.size > max(len(self.keys), MERGE):
+            self.merge()
+
+    def merge(self) -> None:
+        keys, counts = zip((self.keys, self.counts), *self.new, strict=True)
+        self.keys, at = np.unique(np.concatenate(keys), return_inverse=True)
+        self.counts = np.bincount(at, weights=np.concatenate(counts), minlength=len(self.keys)).astype(np.int64)
+        self.new, self.size = [], 0
+
+
 def count_grams(docs: DataFrame) -> DataFrame:
-    """lang, k, c: counts of the 4-grams of docs(lang, text)."""
+    """lang, k, c: counts of the 4-grams of docs(lang, text).
+
+    A task sends each different n-gram once, or again each time it holds more than HELD of them."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        held: dict[str, list[np.ndarray]] = {}
+        text_of: dict[str, list[np.ndarray]] = {}
         size: dict[str, int] = {}
+        counters: dict[str, Counter] = {}
 
-        def flush(lang: str) -> pd.DataFrame:
-            k, c = np.unique(np.concatenate(held.pop(lang)), return_counts=True)
+        def take(lang: str) -> None:
+            counters.setdefault(lang, Counter()).add(np.concatenate(text_of.pop(lang)))
             size.pop(lang)
-            return pd.DataFrame({"lang": lang, "k": k.view(np.int64), "c": c.astype(np.int64)})
+
+        def sent() -> Iterator[pd.DataFrame]:
+            for lang in list(counters):
+                c = counters.pop(lang)
+                c.merge()
+                yield pd.DataFrame({"lang": lang, "k": c.keys.view(np.int64), "c": c.counts})
 
         for b in batches:
             for lang, text in zip(b["lang"], b["text"], strict=True):
                 if text:
                     text = plain(text)
-                    held.setdefault(lang, []).append(gram_keys(text))
+                    text_of.setdefault(lang, []).append(gram_keys(text))
                     size[lang] = size.get(lang, 0) + len(text)
                     if size[lang] >= CHUNK:
-                        yield flush(lang)
-        for lang in list(held):
-            yield flush(lang)
+                        take(lang)
+            if sum(len(c.keys) + c.size for c in counters.values()) > HELD:
+                yield from sent()
+        for lang in list(text_of):
+            take(lang)
+        yield from sent()
 
     return map_slices(docs.select("lang", "text"), run, "lang string, k long, c long").groupBy("lang", "k").agg(F.sum("c").alias("c"))
 
