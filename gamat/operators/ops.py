@@ -7,6 +7,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -18,6 +19,8 @@ from .superstep import apply, apply_edges, gather, gather_apply, gather_edges
 
 #: Largest product of two vectors' lengths that `pairs` spells out; outer products are that large by definition.
 MOST_PAIRS = 2_000_000_000
+#: Cells (8 bytes each) of a matrix that every executor may hold whole, and of a panel that a task multiplies with it.
+LOCAL_CELLS, PANEL_CELLS = 8_000_000, 4_000_000
 
 
 def turned(a: GraphMatrix, trans: str) -> GraphMatrix:
@@ -231,8 +234,7 @@ def mm_blocks(a: GraphMatrix, b: GraphMatrix, size: int = 256) -> GraphMatrix:
         for batch in batches:
             for bi, bj, xi, xj, xw, yi, yj, yw in batch.itertuples(index=False, name=None):
                 p, q = dense(xi, xj, xw), dense(yi, yj, yw)
-                exact = whole and float(np.abs(p).max()) * float(np.abs(q).max()) * size < 2**52
-                r = (p.astype(np.float64) @ q.astype(np.float64)).round().astype(np.int64) if exact else p @ q
+                r = exact_product(p, q)
                 i, j = np.nonzero(r)
                 yield pd.DataFrame({"dst": bi * size + i.astype(np.int64), "src": bj * size + j.astype(np.int64), "w": r[i, j]})
 
@@ -240,6 +242,79 @@ def mm_blocks(a: GraphMatrix, b: GraphMatrix, size: int = 256) -> GraphMatrix:
     return GraphMatrix(apply_edges(parts), MatrixMeta(a.meta.n_rows, b.meta.n_cols))
 
 
+def local_array(gm: GraphMatrix) -> np.ndarray:
+    """The whole matrix on the driver, parallel edges added up; refused beyond LOCAL_CELLS cells, whatever it holds."""
+    m = gm.meta
+    if m.n_rows * m.n_cols > LOCAL_CELLS:
+        raise MatrixError(f"{m.n_rows} x {m.n_cols} cells are too many for one place")
+    t = gm.edges.toArrow()
+    out = np.zeros((m.n_rows, m.n_cols), np.int64 if dict(gm.edges.dtypes)["w"] == "bigint" else np.float64)
+    np.add.at(out, (t["dst"].to_numpy(), t["src"].to_numpy()), t["w"].to_numpy())
+    return out
+
+
+def exact_product(p: np.ndarray, q: np.ndarray) -> np.ndarray:
+    """p q; whole numbers go through doubles only where no sum can lose a digit."""
+    if p.dtype != np.int64 or q.dtype != np.int64:
+        return p @ q
+    if p.size and q.size and float(np.abs(p).max()) * float(np.abs(q).max()) * p.shape[1] < 2**52:
+        return (p.astype(np.float64) @ q.astype(np.float64)).round().astype(np.int64)
+    return p @ q
+
+
+def fits(gm: GraphMatrix) -> bool:
+    return gm.meta.n_rows * gm.meta.n_cols <= LOCAL_CELLS
+
+
+def mm_panel(a: GraphMatrix, b: GraphMatrix) -> GraphMatrix:
+    """A B for an A of at most LOCAL_CELLS cells: A goes to all executors, B is dealt in panels of columns, and each panel's
+    product is whole, so nothing is folded afterwards. Cells that are zero are left out."""
+    array = local_array(a)
+    shared = a.spark.sparkContext.broadcast(array)
+    n, inner = array.shape
+    width = int(max(1, min(1024, PANEL_CELLS // max(1, n, inner))))
+    parts = int(a.spark.conf.get("spark.sql.shuffle.partitions"))
+    whole = array.dtype == np.int64 and dict(b.edges.dtypes)["w"] == "bigint"
+    panel = F.floor(F.col("src") / width).alias("panel")
+    dealt = b.edges.where(F.col("dst") < inner).select(panel, "dst", "src", "w").repartition(parts, "panel").sortWithinPartitions("panel")
+
+    def product(panel: int, rows: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        i, j, w = (np.concatenate([r.column(c).to_numpy(zero_copy_only=False) for r in rows]) for c in ("dst", "src", "w"))
+        cells = np.zeros((inner, width), np.int64 if whole else np.float64)
+        np.add.at(cells, (i, j - panel * width), w)
+        out = exact_product(shared.value, cells)
+        at, col = np.nonzero(out)
+        value = out[at, col]
+        for lo in range(0, len(at), 1 << 18):
+            s = slice(lo, lo + (1 << 18))
+            yield pa.RecordBatch.from_arrays([pa.array(at[s]), pa.array(col[s] + panel * width), pa.array(value[s])], ["dst", "src", "w"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, now = [], None
+        for b_ in batches:
+            ids = b_.column("panel").to_numpy()
+            edges = [0, *(np.flatnonzero(ids[1:] != ids[:-1]) + 1).tolist(), len(ids)]
+            for lo, hi in zip(edges, edges[1:], strict=False):
+                if hi > lo:
+                    if now is not None and ids[lo] != now:
+                        yield from product(now, held)
+                        held = []
+                    now = int(ids[lo])
+                    held.append(b_.slice(lo, hi - lo))
+        if held:
+            yield from product(now, held)
+
+    out = dealt.mapInArrow(run, f"dst bigint, src bigint, w {'bigint' if whole else 'double'}")
+    return GraphMatrix(out, MatrixMeta(a.meta.n_rows, b.meta.n_cols))
+
+
+def mm_dense(a: GraphMatrix, b: GraphMatrix, left: bool) -> GraphMatrix:
+    """A B where the left (or right) factor is expected to be dense: panels if it fits on every executor, else blocks."""
+    if left:
+        return mm_panel(a, b) if fits(a) else mm_blocks(a, b)
+    return mm_panel(b.T, a.T).T if fits(b) else mm_blocks(a, b)
+
+
 def mm_hybrid(a: GraphMatrix, b: GraphMatrix, size: int = 64, density: float = 0.25) -> GraphMatrix:
     """Tiles of A that are filled beyond `density` go to the block back end, the rest stays rows; one fold for both."""
     at = lambda c: F.floor(F.col(c) / size).cast("int")
@@ -250,16 +325,21 @@ def mm_hybrid(a: GraphMatrix, b: GraphMatrix, size: int = 64, density: float = 0
     return GraphMatrix(apply_edges(mm_blocks(dense, b, size).edges.unionByName(mm(rest, b).edges)), MatrixMeta(a.meta.n_rows, b.meta.n_cols))
 
 
-def symm(half: GraphMatrix, b: GraphMatrix, side: str = "L") -> GraphMatrix:
+def symm(half: GraphMatrix, b: GraphMatrix, side: str = "L", dense: bool = True) -> GraphMatrix:
+    """Symmetric product. dense: by panels or blocks (cells that cancel to zero are left out); else by rows."""
     full = storage.mirror(half)
-    return mm(full, b) if side == "L" else mm(b, full)
+    if not dense:
+        return mm(full, b) if side == "L" else mm(b, full)
+    return mm_dense(full, b, True) if side == "L" else mm_dense(b, full, False)
 
 
-def trmm(a: GraphMatrix, b: GraphMatrix, side: str = "L", uplo: str = "L", unit: bool = False, trans: str = "N") -> GraphMatrix:
-    """Triangular product: cells beyond the triangle never reach the join."""
+def trmm(a: GraphMatrix, b: GraphMatrix, side: str = "L", uplo: str = "L", unit: bool = False, trans: str = "N", dense: bool = True) -> GraphMatrix:
+    """Triangular product: cells beyond the triangle never reach the product. dense: as for `symm`."""
     t = a.tril() if uplo == "L" else a.triu()
     t = turned(storage.with_unit_diagonal(t) if unit else t, trans)
-    return mm(t, b) if side == "L" else mm(b, t)
+    if not dense:
+        return mm(t, b) if side == "L" else mm(b, t)
+    return mm_dense(t, b, True) if side == "L" else mm_dense(b, t, False)
 
 
 def mm_masked(a: GraphMatrix, b: GraphMatrix, mask: GraphMatrix) -> GraphMatrix:
@@ -325,7 +405,8 @@ def cx_pairs(x: VertexState, y: VertexState, lower: bool = False, conjugate: boo
     if x.n * y.n > MOST_PAIRS:
         raise MatrixError(f"outer product of {x.n} x {y.n} entries")
     b = F.col("b")
-    p = x.df.select(F.col("id").alias("dst"), F.col("s").alias("a")).crossJoin(F.broadcast(y.df.select(F.col("id").alias("src"), F.col("s").alias("b"))))
+    right = y.df.select(F.col("id").alias("src"), F.col("s").alias("b"))
+    p = x.df.select(F.col("id").alias("dst"), F.col("s").alias("a")).crossJoin(F.broadcast(right) if y.n <= BROADCAST_ROWS else right)
     p = p.where("src <= dst") if lower else p
     return p.select("dst", "src", cx.mul(F.col("a"), cx.conj(b) if conjugate else b).alias("w"))
 

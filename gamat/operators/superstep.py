@@ -13,7 +13,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..sources.shared import reliable
-from ..types import BROADCAST_ROWS, GraphMatrix, Strategy, VertexState
+from ..types import BROADCAST_ROWS, GraphMatrix, MatrixError, Strategy, VertexState
+from . import balance
 
 
 @dataclass(frozen=True)
@@ -48,7 +49,7 @@ def gather(gm: GraphMatrix, state: VertexState, fn=PLUS_TIMES.times, own: Vertex
     e = gm.edges
     s = state.df.select(F.col("id").alias("src"), F.col("s").alias("s_src"))
     if strategy.hub_broadcast:
-        both = hub_join(e, s, strategy)
+        both = hub_join(e, s, strategy, gm.hubs)
     elif strategy.direction == "push":
         both = s.join(e, "src")
     else:
@@ -61,15 +62,22 @@ def gather(gm: GraphMatrix, state: VertexState, fn=PLUS_TIMES.times, own: Vertex
     return both.select("dst", "src", *keep, value.alias("v"))
 
 
-def hub_join(edges: DataFrame, s: DataFrame, strategy: Strategy) -> DataFrame:
-    """States of sources with many edges go to every executor, the others meet their edges in a shuffle."""
-    degrees = edges.groupBy("src").agg(F.count("*").alias("d")).where(F.col("d") > strategy.hub_broadcast)
-    hubs = degrees.orderBy(F.desc("d"), "src").limit(BROADCAST_ROWS).select("src")  # a bounded list: the rest are no hubs
-    marked = edges.join(F.broadcast(hubs.withColumn("hub", F.lit(True))), "src", "left")
-    hub_states = F.broadcast(s.join(F.broadcast(hubs), "src", "left_semi"))
-    tail_states = s.join(F.broadcast(hubs), "src", "left_anti")
+def find_hubs(edges: DataFrame, degree: int) -> DataFrame:
+    """src: sources with more edges than `degree`, at most BROADCAST_ROWS of them (the rest are no hubs)."""
+    degrees = edges.groupBy("src").agg(F.count("*").alias("d")).where(F.col("d") > degree)
+    return degrees.orderBy(F.desc("d"), "src").limit(BROADCAST_ROWS).select("src")
+
+
+def hub_join(edges: DataFrame, s: DataFrame, strategy: Strategy, hubs: DataFrame | None = None) -> DataFrame:
+    """States of sources with many edges go to every executor, the others meet their edges in a shuffle.
+
+    hubs: what the cached graph knows of them; else they are counted here. Edges of hubs are told by the state they find."""
+    hubs = find_hubs(edges, strategy.hub_broadcast) if hubs is None else hubs
+    near = F.broadcast(s.join(F.broadcast(hubs), "src", "left_semi").withColumn("hub", F.lit(True)))
+    marked = edges.join(near, "src", "left")
     cols = [*edges.columns, "s_src"]
-    return marked.where("hub").join(hub_states, "src").select(*cols).unionByName(marked.where("hub is null").join(tail_states.hint("merge"), "src").select(*cols))
+    far = marked.where("hub is null").select(*edges.columns).join(s.hint("merge"), "src")
+    return marked.where("hub").select(*cols).unionByName(far.select(*cols))
 
 
 def slots(edges: DataFrame, cap: int, mode: str = "strict", bucket: int = 4096) -> DataFrame:
@@ -106,14 +114,41 @@ def apply(contributions: DataFrame, combine=F.sum, finalize=None, strategy: Stra
 
 
 def bucketed(gm: GraphMatrix, state: VertexState, size: int, fn=PLUS_TIMES.times) -> DataFrame:
-    """Updates of `size` consecutive vertices travel as one array without ids, and are folded position by position.
-
-    For numeric states and sums; the fold of a bucket is one built-in aggregate over its positions."""
-    contributions = gather(gm, state, fn)
-    local = contributions.groupBy("dst").agg(F.sum("v").alias("v"))  # one value per vertex of the bucket
-    packed = local.groupBy(F.floor(F.col("dst") / size).alias("bucket")).agg(F.map_from_entries(F.collect_list(F.struct((F.col("dst") % size).cast("int").alias("i"), "v"))).alias("m"))
-    dense = packed.select("bucket", F.transform(F.sequence(F.lit(0), F.lit(size - 1)), lambda i: F.element_at("m", i)).alias("a"))
-    return dense.select("bucket", F.posexplode("a").alias("i", "s")).where("s is not null").select((F.col("bucket") * size + F.col("i")).alias("id"), "s")
+    """Updates of `size` consecutive vertices fold where they arise and travel as one row of sums without ids: the only
+    exchange is by bucket, and a bucket's final fold is one task's, as a core owns its buckets.
+
+    For numeric states and sums."""
+    position = F.col("dst") % size
+    sums = [F.sum(F.when(position == i, F.col("v"))).alias(f"p{i}") for i in range(size)]
+    packed = gather(gm, state, fn).groupBy(F.floor(F.col("dst") / size).alias("bucket")).agg(*sums)
+    dense = packed.select("bucket", F.posexplode(F.array(*[F.col(f"p{i}") for i in range(size)])).alias("i", "s"))
+    return dense.where("s is not null").select((F.col("bucket") * size + F.col("i")).alias("id"), "s")
+
+
+def migrated(gm: GraphMatrix, state: VertexState, size: int, parts: int, start=None, fn=PLUS_TIMES.times, seconds_per_unit: float = 1e-6, seconds_per_byte: float = 1e-9) -> tuple[VertexState, tuple[dict, dict]]:
+    """A superstep after load migration, and the loads (edges) per part before and after.
+
+    Buckets of `size` rows lie on parts (start: bucket -> part; at first, in turn) and move while the time that a move saves
+    exceeds its transfer. What is collected is one count per bucket; the contributions then go straight to the parts."""
+    start = start or (lambda bucket: bucket % parts)
+    bucket = F.floor(F.col("dst") / size).cast("bigint")
+    if gm.meta.n_rows // size > BROADCAST_ROWS:
+        raise MatrixError(f"{gm.meta.n_rows // size} buckets; take a larger size")
+    counts = {r["bucket"]: r["n"] for r in gm.edges.groupBy(bucket.alias("bucket")).agg(F.count("*").alias("n")).collect()}
+    loads: dict[int, dict[int, float]] = {p: {} for p in range(parts)}
+    for b, n in sorted(counts.items()):
+        loads[start(b)][b] = float(n)
+    before = {p: sum(own.values()) for p, own in loads.items()}
+    home = {b: p for p, own in loads.items() for b in own}
+    for m in balance.plan(loads, seconds_per_unit, seconds_per_byte):
+        home[m.bucket] = m.target
+    after = dict.fromkeys(range(parts), 0.0)
+    for b, p in home.items():
+        after[p] += counts[b]
+    homes = F.broadcast(gm.spark.createDataFrame(sorted(home.items()), "bucket bigint, part int"))
+    sent = gather(gm, state, fn).withColumn("bucket", bucket).join(homes, "bucket").repartitionById(parts, F.col("part"))
+    out = sent.groupBy("part", F.col("dst").alias("id")).agg(F.sum("v").alias("s")).select("id", "s")
+    return VertexState(out, gm.meta.n_rows), (before, after)
 
 
 def gather_apply(gm: GraphMatrix, state: VertexState, fn=PLUS_TIMES.times, combine=F.sum, finalize=None, own: VertexState | None = None, strategy: Strategy = Strategy(), total: bool = False, default=0) -> VertexState:

@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 
 from ..operators import chain, ops, reorder, storage
 from ..operators.superstep import apply, gather, gather_apply, iterate
+from ..sources.shared import reliable
 from ..types import GraphMatrix, Strategy, VertexState
 from . import ir
 
@@ -62,7 +63,11 @@ class Backend:
         return iterate(lambda s: self.superstep(gm, s, F.sum), self.emit(n.state), n.times)
 
     def superstep(self, gm, x, fold):
-        return gather_apply(gm, x, combine=fold, strategy=self.strategy)
+        if self.strategy.reorder == "none":
+            return gather_apply(gm, x, combine=fold, strategy=self.strategy)
+        perm = reliable(reorder.relabelling(gm, self.strategy.reorder))
+        new = gather_apply(reorder.relabel(gm, perm), reorder.relabel_state(x, perm), combine=fold, strategy=self.strategy)
+        return VertexState(reorder.restore(new, perm).df, gm.meta.n_rows)
 
 
 class BlockBackend(Backend):
@@ -79,7 +84,7 @@ class BlockBackend(Backend):
         parts = [self.emit(p) for p in n.parts]
         out = parts[0]
         for p in parts[1:]:
-            out = ops.mm_blocks(out, p, self.strategy.bucket or 256)
+            out = ops.mm_panel(out, p) if ops.fits(out) else ops.mm_blocks(out, p, self.strategy.bucket or 256)
         return out
 
 

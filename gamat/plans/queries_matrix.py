@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import cx, vec
@@ -9,7 +10,7 @@ from ..operators import chain, comm, deps, features, ingest, ops, storage
 from ..operators.superstep import COUNT, MAX_MIN, MIN_PLUS, Semiring, apply_bag, apply_edges, gather, gather_apply, gather_edges, iterate, slots
 from ..sources import fixtures as fx
 from ..sources.io import table
-from ..types import GraphMatrix, MatrixMeta, Strategy, VertexState
+from ..types import CATALOGUE, GraphMatrix, MatrixMeta, Strategy, VertexState
 from . import backends, engine, ir
 from .registry import query
 
@@ -166,9 +167,16 @@ def _(spark, d):
     return engine.run(ir.mv(ir.Sum(ir.Load("mx2", fx.mx2(spark, d))), ir.State("cents", fx.part_cents(spark, d))))
 
 
-@query("apply_total", sql=W("mx15") + " select x.i id, coalesce(s, 0) s from range(5) x(i) left join (select dst, cast(sum(w * c_custkey) as bigint) s from mx15 join customer on c_custkey = src where src % 997 = 0 group by 1) y on y.dst = x.i")
+@query("mv_irregular", sql=MV2)
 def _(spark, d):
-    a = fx.mx15(spark, d).where(F.col("src") % 997 == 0)
+    """Reordered, hubs replicated, rows split: the whole irregular strategy through its back end."""
+    return backends.emit(ir.mv(ir.Load("mx2", fx.mx2(spark, d)), ir.State("cents", fx.part_cents(spark, d))), CATALOGUE["irregular"])
+
+
+@query("apply_total", sql=W("mx15") + " select x.i id, coalesce(s, 0) s from range(5) x(i) left join (select dst, cast(sum(w * c_custkey) as bigint) s from mx15 join customer on c_custkey = src where dst <> 3 group by 1) y on y.dst = x.i")
+def _(spark, d):
+    # One segment of five loses its edges, and gets the default.
+    a = fx.mx15(spark, d).where(F.col("dst") != 3)
     x = VertexState.of(table(spark, d, "customer"), "c_custkey", "c_custkey", a.meta.n_cols)
     return gather_apply(a, x, total=True)
 
@@ -421,6 +429,24 @@ def _(spark, d):
     return ops.mm_hybrid(fx.mx2(spark, d), fx.mx1(spark, d))
 
 
+@query("spmm_orders", sql=W("mx1", "mx3") + " select a.dst, b.src, cast(sum(a.w * b.w) as bigint) w from mx3 a join mx1 b on a.src = b.dst group by 1, 2")
+def _(spark, d):
+    return ops.mm(fx.mx3(spark, d), fx.mx1(spark, d))
+
+
+def term_counts(spark, d, name: str, key: str) -> GraphMatrix:
+    """Rows x terms; a term's column is its digest."""
+    t = fx.terms(table(spark, d, name, [key, "text"]), key)
+    e = t.where(F.col(key).isNotNull()).select(F.col(key).cast(BIG).alias("dst"), F.xxhash64("term").alias("src"), F.col("w").cast(BIG).alias("w"))
+    return GraphMatrix(e, MatrixMeta(fx.size(spark, d, name, key), 2**63 - 1))
+
+
+@query("spmm_terms", sql="with a as (select doc_id k, unnest(string_split(lower(text), ' ')) t from documents), a2 as (select k, t, count(*) w from a group by 1, 2), b as (select item_id k, unnest(string_split(lower(text), ' ')) t from benchmark), b2 as (select k, t, count(*) w from b group by 1, 2) select a2.k dst, b2.k src, cast(sum(a2.w * b2.w) as bigint) w from a2 join b2 using (t) group by 1, 2")
+def _(spark, d):
+    """documents x benchmark items, over the terms they share."""
+    return ops.mm(term_counts(spark, d, "documents", "doc_id"), term_counts(spark, d, "benchmark", "item_id").T)
+
+
 GEMM = W("mx4") + " select a.src dst, b.src, cast(sum(a.w * b.w) as bigint) w from mx4 a join mx4 b on a.dst = b.dst group by 1, 2 having sum(a.w * b.w) <> 0"
 
 
@@ -473,11 +499,13 @@ def _(spark, d):
     return ops.rank_2k(a, b)
 
 
-@query("mm_masked", sql=W("mx1", "mx2") + ", p as (select a.dst, b.src, cast(sum(a.w * b.w) as bigint) w from mx2 a join mx1 b on a.src = b.dst group by 1, 2) select p.* from p where dst % 100 = 7 and src % 10 = 3")
+@query("mm_masked", sql=W("mx1", "mx2") + ", p as (select a.dst, b.src, cast(sum(a.w * b.w) as bigint) w from mx2 a join mx1 b on a.src = b.dst group by 1, 2) select p.* from p semi join (select o_custkey dst, l_suppkey src from lineitem join orders on l_orderkey = o_orderkey) m using (dst, src)")
 def _(spark, d):
+    """customer x supplier, only where the two have traded."""
+    o = table(spark, d, "orders", ["o_orderkey", "o_custkey"])
+    li = table(spark, d, "lineitem", ["l_orderkey", "l_suppkey"])
     a, b = fx.mx2(spark, d), fx.mx1(spark, d)
-    rows, cols = spark.range(a.meta.n_rows).where("id % 100 = 7").withColumnRenamed("id", "dst"), spark.range(b.meta.n_cols).where("id % 10 = 3").withColumnRenamed("id", "src")
-    mask = rows.crossJoin(F.broadcast(cols)).withColumn("w", F.lit(1).cast(BIG))
+    mask = li.join(o, F.col("l_orderkey") == F.col("o_orderkey")).select(F.col("o_custkey").alias("dst"), F.col("l_suppkey").alias("src"), F.lit(1).cast(BIG).alias("w"))
     return ops.mm_masked(a, b, GraphMatrix(mask, MatrixMeta(a.meta.n_rows, b.meta.n_cols)))
 
 
@@ -586,49 +614,56 @@ def _(spark, d):
 
 # Solves --------------------------------------------------------------------------------------------------------------
 
-N = 40
 
 
-def unit_band(spark) -> tuple[GraphMatrix, VertexState]:
-    """Unit lower triangle of 40 days; two sub-diagonals with entries in -1..1."""
-    i = spark.range(N).select("id")
-    e = i.select(F.col("id").alias("dst"), F.explode(F.array(F.lit(1), F.lit(2))).alias("b")).where("dst >= b")
-    e = e.select("dst", (F.col("dst") - F.col("b")).alias("src"), ((F.col("dst") * 5 + F.col("b") * 3) % 3 - 1).alias("w")).where("w <> 0")
-    return GraphMatrix(e, MatrixMeta(N, N)), VertexState(i.select("id", (F.col("id") % 7 - 3).alias("s")), N)
+def day_triangle(spark, d) -> tuple[GraphMatrix, VertexState]:
+    """Lower triangle of the day stiffness with one more spring to ground at every day, and a load; all days."""
+    k = fx.mx8(spark, d)
+    n = k.meta.n_rows
+    ground = spark.range(n).select(F.col("id").alias("dst"), F.col("id").alias("src"), F.lit(1).cast(BIG).alias("w"))
+    a = ops.add(k, k.with_edges(ground)).tril()
+    return a.map_weights(F.col("w").cast("double")), VertexState(spark.range(n).select("id", (F.col("id") % 7 - 3).cast("double").alias("s")), n)
+
+
+#: x_t = (b_t + k_(t-1) x_(t-1)) / (k_(t-1) + k_t + grounds), day by day.
+SOLVE = W("days", recursive=True) + ", g as (select t, case when t < (select max(t) from days) then k else 0 end k, coalesce(lag(k) over (order by t), 0) p from days), x(id, s) as (select t, cast(-3 as double) / (k + 2) from g where t = 0 union all select g.t, (g.t % 7 - 3 + g.p * x.s) / (g.p + g.k + 1) from x join g on g.t = x.id + 1)"
 
 
-SOLVE = f"with recursive x(id, s, p) as (select 0::bigint, -3::bigint, 0::bigint union all select id + 1, ((id + 1) % 7 - 3) - (((id + 1) * 5 + 3) % 3 - 1) * s - case when id >= 1 then (((id + 1) * 5 + 6) % 3 - 1) * p else 0 end, s from x where id < {N - 1}) select id, s from x"
+def rounded(x) -> DataFrame:
+    """Rounded to six places, without negative zeros."""
+    df = x.df if isinstance(x, VertexState) else x
+    return df.withColumn("s", F.round("s", 6) + F.lit(0.0))
 
 
-@query("tbsv", sql=SOLVE)
+@query("tbsv", sql=SOLVE + " select id, round(s, 6) + 0.0 s from x")
 def _(spark, d):
-    a, b = unit_band(spark)
-    return deps.triband_solve(storage.to_band(a, 2, 0), b, 2, unit=True, method="doubling")
+    a, b = day_triangle(spark, d)
+    return rounded(deps.triband_solve(storage.to_band(a, 1, 0), b, 1, method="doubling"))
 
 
-@query("trsv", sql=SOLVE)
+@query("trsv", sql=SOLVE + " select id, round(s, 6) + 0.0 s from x")
 def _(spark, d):
-    a, b = unit_band(spark)
-    return deps.tri_solve(a, b, unit=True, method="block", block=16)
+    a, b = day_triangle(spark, d)
+    return rounded(deps.tri_solve(a, b, method="block", block=512))
 
 
-@query("tpsv", sql=SOLVE)
+@query("tpsv", sql=SOLVE + " select id, round(s, 6) + 0.0 s from x")
 def _(spark, d):
-    a, b = unit_band(spark)
-    return deps.tripacked_solve(storage.pack(a), b, unit=True)
+    a, b = day_triangle(spark, d)
+    return rounded(deps.tripacked_solve(storage.pack(a), b, method="block", block=512))
 
 
-@query("trsv_upper", sql=SOLVE.replace("select id, s from x", f"select {N - 1} - id id, s from x"))
+@query("trsv_upper", sql=SOLVE + " select (select max(t) from days) - id id, round(s, 6) + 0.0 s from x")
 def _(spark, d):
-    a, b = unit_band(spark)
-    return deps.tri_solve(deps.flipped(a), deps.flip_state(b), uplo="U", unit=True)
+    a, b = day_triangle(spark, d)
+    return rounded(deps.tri_solve(deps.flipped(a), deps.flip_state(b), uplo="U", method="block", block=512))
 
 
-@query("trsm", sql=SOLVE.replace("select id, s from x", "select id, 0::bigint c, s from x union all select id, 1, 2 * s from x"))
+@query("trsm", sql=SOLVE + " select id, 0::bigint c, round(s, 6) + 0.0 s from x union all select id, 1, round(2 * s, 6) + 0.0 from x")
 def _(spark, d):
-    a, b = unit_band(spark)
+    a, b = day_triangle(spark, d)
     two = b.df.withColumn("c", F.lit(0).cast(BIG)).unionByName(b.df.select("id", (F.col("s") * 2).alias("s"), F.lit(1).cast(BIG).alias("c")))
-    return deps.tri_solve(a, VertexState(two, N), unit=True).df.select("id", "c", "s")
+    return rounded(deps.tri_solve(a, VertexState(two, b.n), method="block", block=512).df.select("id", "c", "s"))
 
 
 @query("trsv_levels", sql="select n_nationkey + 100 id, (n_nationkey % 3 - n_regionkey % 2)::bigint s from nation union all select n_regionkey, n_regionkey % 2 from nation group by n_regionkey")
@@ -663,6 +698,42 @@ def _(spark, d):
     return chain.sequential(series(spark, d))
 
 
+def series_back(spark, d) -> list[GraphMatrix]:
+    """supplier <- part <- customer <- nation <- region: the same series seen from its other end."""
+    return [m.T for m in reversed(series(spark, d))]
+
+
+@query("chain_dp_back", sql=CHAIN.replace("select z.dst, b.src,", "select b.src dst, z.dst src,"))
+def _(spark, d):
+    return chain.product(series_back(spark, d), "dp")
+
+
+@query("chain_seq_back", sql=CHAIN.replace("select z.dst, b.src,", "select b.src dst, z.dst src,"))
+def _(spark, d):
+    return chain.sequential(series_back(spark, d))
+
+
+def series_orders(spark, d) -> list[GraphMatrix]:
+    """region <- nation <- customer <- order <- part: every vertex but the parts depends on one other directly."""
+    r, c, _, _ = series(spark, d)
+    a = fx.mx3(spark, d)
+    o = table(spark, d, "orders", ["o_orderkey", "o_custkey"]).select(F.col("o_custkey").alias("dst"), F.col("o_orderkey").alias("src"), F.lit(1).cast(BIG).alias("w"))
+    return [r, c, GraphMatrix(o, MatrixMeta(c.meta.n_cols, a.meta.n_rows)), a]
+
+
+ORDERS = "select n_regionkey::bigint dst, l_partkey src, cast(sum(l_quantity) as bigint) w from lineitem join orders on l_orderkey = o_orderkey join customer on c_custkey = o_custkey join nation on n_nationkey = c_nationkey group by 1, 2"
+
+
+@query("chain_paths_orders", sql=ORDERS)
+def _(spark, d):
+    return chain.product(series_orders(spark, d), "paths")
+
+
+@query("chain_seq_orders", sql=ORDERS)
+def _(spark, d):
+    return chain.sequential(series_orders(spark, d))
+
+
 @query("chain_vec", sql=W("mx1", "mx2", "sup") + ", y as (select dst id, sum(w * s) s from mx1 join sup on id = src group by 1), z as (select dst id, sum(w * s) s from mx2 join y on id = src group by 1) select n_regionkey::bigint id, cast(sum(s) as bigint) s from z join customer on c_custkey = id join nation on n_nationkey = c_nationkey group by 1")
 def _(spark, d):
     return chain.vector(series(spark, d), fx.supplier_cents(spark, d))

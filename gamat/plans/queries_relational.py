@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions import cx, ids, udf, vec
 from ..operators import apps, balance, baselines, cache, chain, comm, features, ingest, joins, models, ops, reorder, storage
-from ..operators.superstep import gather
+from ..operators.superstep import gather, migrated
 from ..sources import fixtures as fx
 from ..sources import io
+from ..sources.shared import reliable
 from ..sources.io import table
 from ..streaming import stream
 from ..types import GraphMatrix, MatrixMeta, Strategy, VertexState
@@ -222,6 +225,12 @@ def _(spark, d):
     return apps.potential_energy(fx.mx13(spark, d), fx.mx4(spark, d), layers(spark))
 
 
+@query("app_energy_dense", sql=ENERGY.replace("having sum(a.w * b.w) >= 300000", "having sum(a.w * b.w) >= 0"))
+def _(spark, d):
+    """Half of all pairs are neighbours."""
+    return apps.potential_energy(fx.mx13(spark, d, tau=0.0), fx.mx4(spark, d), layers(spark))
+
+
 @query("app_energy_param", sql=W("mx13") + ", r as (select dst, src, w from mx4 union all select vec_id, 64, label + 1 from embeddings) select n.dst id, cast(sum(n.w * r.w) as bigint) s from mx13 n join r on n.src = r.dst group by 1")
 def _(spark, d):
     """Positions with one more column: the label as a parameter."""
@@ -230,14 +239,22 @@ def _(spark, d):
     return apps.potential_energy(fx.mx13(spark, d), a.with_edges(a.edges.unionByName(more), n_cols=65))
 
 
-SPECIES = 128
-HEAT = W("mx1") + f", m as (select * from mx1 where dst < {SPECIES}), t as (select a.dst, b.dst src, cast(sum(a.w * b.w) as bigint) % 10 w from m a join m b on a.src = b.src group by 1, 2), p0 as (select p_partkey id, p_size::bigint s from part where p_partkey < {SPECIES})"
+def heat_sql(species: int | None = None) -> str:
+    few = f" where {{}} < {species}" if species else ""
+    return W("mx1") + f", m as (select * from mx1{few.format('dst')}), t as (select a.dst, b.dst src, cast(sum(a.w * b.w) as bigint) % 10 w from m a join m b on a.src = b.src group by 1, 2), p0 as (select p_partkey id, p_size::bigint s from part{few.format('p_partkey')})"
+
 
+HEAT = heat_sql()
 
-def heat(spark, d, species: int = SPECIES):
-    m = fx.mx1(spark, d).where(F.col("dst") < species)
-    m = m.with_edges(m.edges, n_rows=species)
-    t = ops.mm_blocks(m, m.T).map_weights(F.col("w") % 10)
+
+def heat(spark, d, species: int | None = None):
+    """Temperature matrix between species (parts: all of them, or a data set of the first so many) and their pressures."""
+    m = fx.mx1(spark, d)
+    species = min(species or m.meta.n_rows, m.meta.n_rows)
+    m = m.where(F.col("dst") < species)
+    m = m.with_edges(reliable(m.edges), n_rows=species)
+    t = ops.mm_dense(m, m.T, True).map_weights(F.col("w") % 10)
+    t = t.with_edges(reliable(t.edges))
     p = VertexState(table(spark, d, "part").where(F.col("p_partkey") < species).select(F.col("p_partkey").alias("id"), F.col("p_size").cast(BIG).alias("s")), species)
     return t, p
 
@@ -261,11 +278,11 @@ def hour_counts(spark, d):
     return e.select((F.col("h") - lo).alias("id")).groupBy("id").agg(F.count("*").alias("s"))
 
 
-@query("model_dft", sql="with e as (select (epoch_us(ts) // 1000000) // 3600 h from events), c as (select h - (select min(h) from e) id, count(*) s from e group by 1), n as (select max(id) + 1 n from c) select k.i id, round(sum(s * cos(-2 * pi() / n * ((k.i * id) % n))), 3) + 0.0 re, round(sum(s * sin(-2 * pi() / n * ((k.i * id) % n))), 3) + 0.0 im from c, n, range(16) k(i) group by 1")
+@query("model_dft", sql="with e as (select (epoch_us(ts) // 1000000) // 3600 h from events), c as (select h - (select min(h) from e) id, count(*) s from e group by 1), n as (select max(id) + 1 n from c) select k.i id, round(sum(s * cos(-2 * pi() / n * ((k.i * id) % n))), 3) + 0.0 re, round(sum(s * sin(-2 * pi() / n * ((k.i * id) % n))), 3) + 0.0 im from c, n, (select unnest(range((select n from n)))::bigint i) k group by 1")
 def _(spark, d):
     c = hour_counts(spark, d)
     n = c.agg(F.max("id")).first()[0] + 1
-    out = models.dft(VertexState(c, n)).where("id < 16")
+    out = models.dft(VertexState(c, n))
     return out.select("id", (F.round("re", 3) + 0.0).alias("re"), (F.round("im", 3) + 0.0).alias("im"))
 
 
@@ -403,10 +420,10 @@ def _(spark, d):
     return out.select("event_id", "last_view")
 
 
-@query("interval_edges", sql=W("days") + ", s as (select t start, t + k % 40 as stop, k w from days where t % 25 = 0) select d.t, s.start, s.w from days d join s on d.t >= s.start and d.t < s.stop")
+@query("interval_edges", sql=W("days") + ", s as (select t start, t + k % 40 as stop, k w from days) select d.t, s.start, s.w from days d join s on d.t >= s.start and d.t < s.stop")
 def _(spark, d):
     a = fx.days(spark, d)
-    spans = a.where("t % 25 = 0").select(F.col("t").alias("start"), (F.col("t") + F.col("k") % 40).alias("stop"), F.col("k").alias("w"))
+    spans = a.select(F.col("t").alias("start"), (F.col("t") + F.col("k") % 40).alias("stop"), F.col("k").alias("w"))
     return joins.interval(a.select("t"), spans, "t", "start", "stop", 32).select("t", "start", "w")
 
 
@@ -428,9 +445,9 @@ def _(spark, d):
 # Aggregates ----------------------------------------------------------------------------------------------------------
 
 
-@query("neighbor_lists", sql=W("mx2") + " select dst, list(src order by src) cols, list(w order by src) vals from mx2 where dst < 100 group by 1")
+@query("neighbor_lists", sql=W("mx2") + " select dst, list(src order by src) cols, list(w order by src) vals from mx2 group by 1")
 def _(spark, d):
-    return storage.csr_rows(fx.mx2(spark, d).where(F.col("dst") < 100))
+    return storage.csr_rows(fx.mx2(spark, d))
 
 
 @query("degree_distinct", sql=W("mx2") + " select dst id, count(*) degree, count(distinct src) neighbours from mx2 group by 1")
@@ -735,9 +752,9 @@ def _(spark, d):
 
 # Larger kinetics, measures --------------------------------------------------------------------------------------------
 
-for _species in (512, 1024, 2000):
+for _species in (3072, 4096, 5120):
 
-    @query(f"app_heat_{_species}", sql=HEAT.replace(str(SPECIES), str(_species)) + " select dst id, cast(sum(w * s) as bigint) s from t join p0 on id = src group by 1")
+    @query(f"app_heat_{_species}", sql=heat_sql(_species) + " select dst id, cast(sum(w * s) as bigint) s from t join p0 on id = src group by 1")
     def _(spark, d, species=_species):
         """Heat capacity of a mixture of many species: the dense co-supply matrix is built and applied in blocks."""
         return apps.heat_capacity(*heat(spark, d, species), steps=1)
@@ -766,6 +783,32 @@ def _(spark, d):
     return spark.createDataFrame([(int(sum(total.values())), max(total.values()) < before)], "edges bigint, fits boolean")
 
 
+@query("mv_migrated", sql=W("mx1", "sup") + " select dst id, cast(sum(w * s) as bigint) s from mx1 join sup on id = src group by 1")
+def _(spark, d):
+    """Buckets of rows start piled up on one part, and move where that pays before the superstep."""
+    out, _ = migrated(fx.mx1(spark, d), fx.supplier_cents(spark, d), size=50, parts=8, start=lambda b: 0 if b % 3 else b % 8)
+    return out
+
+
+@query("migration_gain", sql=W("mx1") + " select count(*) edges, true as lighter from mx1")
+def _(spark, d):
+    a = fx.mx1(spark, d)
+    _, loads = migrated(a, fx.supplier_cents(spark, d), size=50, parts=8, start=lambda b: 0 if b % 3 else b % 8)
+    before, after = loads
+    return spark.createDataFrame([(int(sum(after.values())), max(after.values()) < max(before.values()))], "edges bigint, lighter boolean")
+
+
+@query("bandwidth_rcm", sql="with " + LINKS + ", n as (select count(*) n from (select p::varchar x from l union select 'h' || h from l)) select n, true as narrower from n")
+def _(spark, d):
+    """The page graph under ids dealt out by hash, and after the bandwidth order."""
+    g = page_graph(spark, d)
+    mixed = ids.encode(reorder.nodes(g).select(F.col("id").cast("string").alias("name")), "name").select(F.col("name").cast(BIG).alias("id"), F.col("id").alias("new_id"))
+    m = reorder.relabel(g, reliable(mixed))
+    perm = reliable(reorder.relabelling(m, "rcm"))
+    own, new = reorder.bandwidth(m).first(), reorder.bandwidth(reorder.relabel(m, perm)).first()
+    return spark.createDataFrame([(perm.count(), new["bandwidth"] < own["bandwidth"])], "n bigint, narrower boolean")
+
+
 @query("cache_stats")
 def _(spark, d):
     c = cache.GraphCache()

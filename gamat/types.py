@@ -40,6 +40,8 @@ class GraphMatrix:
 
     edges: DataFrame
     meta: MatrixMeta
+    #: src of the sources with many edges, where a cached graph has counted them.
+    hubs: DataFrame | None = field(default=None, compare=False)
 
     @property
     def spark(self) -> SparkSession:
