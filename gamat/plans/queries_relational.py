@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
+import json
 import math
+from dataclasses import replace
+from pathlib import Path
 
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -119,36 +122,28 @@ def _(spark, d):
 
 # Mapper --------------------------------------------------------------------------------------------------------------
 
-#: Recorded runs of a small bench grid: op, matrix, platform, strategy, seconds.
-RUNS = [
-    ("mv", "mx1", "jvm", "small", 0.21), ("mv", "mx1", "jvm", "vertex_pull", 0.55), ("mv", "mx1", "jvm", "hub", 0.93),
-    ("mv", "mx2", "jvm", "small", 0.31), ("mv", "mx2", "jvm", "vertex_pull", 0.52), ("mv", "mx2", "jvm", "hub", 0.99),
-    ("mm", "mx4", "arrow", "dense_block", 0.44), ("mm", "mx4", "arrow", "vertex_pull", 2.61),
-    ("mm", "mx2", "hybrid", "hybrid", 1.72), ("mm", "mx2", "hybrid", "vertex_pull", 0.71),
-    ("add", "mx1", "jvm", "edge_merge", 0.30), ("add", "mx1", "jvm", "vertex_pull", 0.62),
-]
+#: Runs of the bench grid (bench.py --grid): op, matrix, platform, features, strategy, seconds.
+RUNS = [json.loads(line) for line in (Path(__file__).parent / "grid.jsonl").read_text().splitlines()]
+BARE = [(r["op"], r["matrix"], r["platform"], r["strategy"], r["seconds"]) for r in RUNS]
 
 
 def run_table(spark):
-    return spark.createDataFrame(RUNS, "op string, matrix string, platform string, strategy string, seconds double")
+    rows = [(r["op"], r["matrix"], r["platform"], r["features"], r["strategy"], r["seconds"]) for r in RUNS]
+    return spark.createDataFrame(rows, mapper.RUN_SCHEMA)
 
 
-BEST = 'select op, matrix, platform, arg_min(strategy, "seconds") best, min("seconds") as "seconds" from (values {}) t(op, matrix, platform, strategy, "seconds") group by 1, 2, 3'
+BEST = 'select op, matrix, platform, arg_min(strategy, struct_pack(s := "seconds", n := strategy)) best, min("seconds") as "seconds" from (values {}) t(op, matrix, platform, strategy, "seconds") group by 1, 2, 3'
 
 
-@query("label_best", sql=BEST.format(", ".join(f"('{o}', '{m}', '{p}', '{s}', {t}::double)" for o, m, p, s, t in RUNS)))
+@query("label_best", sql=BEST.format(", ".join(f"('{o}', '{m}', '{p}', '{s}', {t}::double)" for o, m, p, s, t in BARE)))
 def _(spark, d):
     return mapper.label(run_table(spark))
 
 
 @query("mapper_regret")
 def _(spark, d):
-    """Trains on the recorded runs with the profiles of their matrices, and reports the regret of the tree's choices."""
-    made = {"mx1": fx.mx1(spark, d), "mx2": fx.mx2(spark, d), "mx4": fx.mx4(spark, d)}
-    profiles = {k: features.profile(g).first() for k, g in made.items()}
-    rows = [(o, m, p, features.vector(profiles[m], o, p), s, t) for o, m, p, s, t in RUNS]
-    runs = spark.createDataFrame(rows, mapper.RUN_SCHEMA)
-    return mapper.evaluate(runs, mapper.train(runs))
+    """For each recorded matrix: a tree trained on the runs of all other matrices, and the regret of its choice."""
+    return mapper.held_out(run_table(spark))
 
 
 # Applications --------------------------------------------------------------------------------------------------------
@@ -185,7 +180,7 @@ def _(spark, d):
     k = li.groupBy(F.datediff(F.to_date("l_shipdate"), F.lit("1992-01-01").cast("date")).cast(BIG).alias("t")).agg(F.sum(F.col("l_quantity") * F.round(F.col("l_discount") * 100)).cast(BIG).alias("k"))
     lo, hi = k.agg(F.min("t"), F.max("t")).first()
     springs = spark.range(lo, hi + 1).withColumnRenamed("id", "t").join(k, "t", "left").select((F.col("t") - lo).alias("t"), F.coalesce("k", F.lit(0).cast(BIG)).alias("k"))
-    m = fx.mx8(spark, d, springs)
+    m = fx.mx8(spark, d, springs, hi - lo + 1)
     return apps.boundary_force(m, velocity(spark, m.meta.n_cols))
 
 
@@ -198,7 +193,7 @@ def _(spark, d):
     e = table(spark, d, "events", ["ts"]).groupBy(F.floor(F.unix_timestamp(F.col("ts").cast("timestamp")) / 60).alias("t")).agg(F.count("*").alias("k"))
     lo, hi = e.agg(F.min("t"), F.max("t")).first()
     springs = spark.range(lo, hi + 1).withColumnRenamed("id", "t").join(e, "t", "left").select((F.col("t") - lo).alias("t"), F.coalesce("k", F.lit(0).cast(BIG)).alias("k"))
-    m = fx.mx8(spark, d, springs)
+    m = fx.mx8(spark, d, springs, hi - lo + 1)
     return apps.boundary_force(m, velocity(spark, m.meta.n_cols))
 
 
@@ -213,6 +208,18 @@ def layers(spark):
     return [apps.layer(spark, 64, 16, 1), apps.layer(spark, 16, 4, 2), apps.layer(spark, 4, 1, 3)]
 
 
+def positions(spark, d) -> GraphMatrix:
+    a = fx.mx4(spark, d)
+    return replace(a, meta=replace(a.meta, nnz=a.meta.n_rows * a.meta.n_cols))  # dense: at most that many
+
+
+def neighbours(spark, d, tau: float = 0.3) -> GraphMatrix:
+    """The neighbour graph, converted once, with its number of edges."""
+    g = fx.mx13(spark, d, tau)
+    g = g.with_edges(reliable(g.edges))
+    return replace(g, meta=replace(g.meta, nnz=g.edges.count()))
+
+
 def layer_sql(name: str, rows: int, cols: int, seed: int) -> str:
     return f"{name} as (select i // {cols} dst, i % {cols} src, (i * {2 * seed + 3} + {seed}) % 5 - 2 w from range({rows * cols}) r(i))"
 
@@ -222,13 +229,13 @@ ENERGY = W("mx13") + ", " + ", ".join(layer_sql(f"w{s}", *x, s) for s, x in ((1,
 
 @query("app_energy", sql=ENERGY)
 def _(spark, d):
-    return apps.potential_energy(fx.mx13(spark, d), fx.mx4(spark, d), layers(spark))
+    return apps.potential_energy(neighbours(spark, d), positions(spark, d), layers(spark))
 
 
 @query("app_energy_dense", sql=ENERGY.replace("having sum(a.w * b.w) >= 300000", "having sum(a.w * b.w) >= 0"))
 def _(spark, d):
     """Half of all pairs are neighbours."""
-    return apps.potential_energy(fx.mx13(spark, d, tau=0.0), fx.mx4(spark, d), layers(spark))
+    return apps.potential_energy(neighbours(spark, d, 0.0), positions(spark, d), layers(spark))
 
 
 @query("app_energy_param", sql=W("mx13") + ", r as (select dst, src, w from mx4 union all select vec_id, 64, label + 1 from embeddings) select n.dst id, cast(sum(n.w * r.w) as bigint) s from mx13 n join r on n.src = r.dst group by 1")
@@ -236,7 +243,7 @@ def _(spark, d):
     """Positions with one more column: the label as a parameter."""
     more = table(spark, d, "embeddings").select(F.col("vec_id").alias("dst"), F.lit(64).cast(BIG).alias("src"), (F.col("label") + 1).cast(BIG).alias("w"))
     a = fx.mx4(spark, d)
-    return apps.potential_energy(fx.mx13(spark, d), a.with_edges(a.edges.unionByName(more), n_cols=65))
+    return apps.potential_energy(neighbours(spark, d), a.with_edges(a.edges.unionByName(more), n_cols=65))
 
 
 def heat_sql(species: int | None = None) -> str:

@@ -71,17 +71,22 @@ def mx6(spark, sf_dir) -> GraphMatrix:
 
 def days(spark, sf_dir) -> DataFrame:
     """day (days since the first ship date, from 0), k: summed quantity; days without shipments have 0."""
+    return counted_days(spark, sf_dir)[0]
+
+
+def counted_days(spark, sf_dir) -> tuple[DataFrame, int]:
+    """`days` and how many there are."""
     df = table(spark, sf_dir, "lineitem", ["l_shipdate", "l_quantity"])
     k = df.groupBy(F.datediff(F.to_date("l_shipdate"), F.lit("1992-01-01").cast("date")).cast(BIG).alias("t")).agg(F.sum("l_quantity").cast(BIG).alias("k"))
     lo, hi = k.agg(F.min("t"), F.max("t")).first()
     every = spark.range(lo, hi + 1).withColumnRenamed("id", "t")
-    return every.join(k, "t", "left").select((F.col("t") - lo).alias("t"), F.coalesce("k", F.lit(0).cast(BIG)).alias("k"))
+    return every.join(k, "t", "left").select((F.col("t") - lo).alias("t"), F.coalesce("k", F.lit(0).cast(BIG)).alias("k")), hi - lo + 1
 
 
-def mx8(spark, sf_dir, springs: DataFrame | None = None, ground: int = 1) -> GraphMatrix:
-    """Day stiffness: element graphs of springs between consecutive days, added up; one spring to ground at day 0."""
-    s = days(spark, sf_dir) if springs is None else springs
-    n = s.agg(F.max("t")).first()[0] + 1
+def mx8(spark, sf_dir, springs: DataFrame | None = None, n: int | None = None, ground: int = 1) -> GraphMatrix:
+    """Day stiffness: element graphs of springs between n consecutive days, added up; one spring to ground at day 0."""
+    s, n = counted_days(spark, sf_dir) if springs is None else (springs, n)
+    n = s.agg(F.max("t")).first()[0] + 1 if n is None else n
     cell = lambda i, j, w: F.struct((F.col("t") + i).alias("dst"), (F.col("t") + j).alias("src"), w.alias("w"))
     e = s.where(F.col("t") < n - 1).select(F.explode(F.array(cell(0, 0, F.col("k")), cell(1, 1, F.col("k")), cell(0, 1, -F.col("k")), cell(1, 0, -F.col("k")))).alias("x")).select("x.*")
     e = e.unionByName(spark.range(1).select(F.lit(0).cast(BIG).alias("dst"), F.lit(0).cast(BIG).alias("src"), F.lit(ground).cast(BIG).alias("w")))
