@@ -304,8 +304,8 @@ def mm_panel(a: GraphMatrix, b: GraphMatrix) -> GraphMatrix:
         if held:
             yield from product(now, held)
 
-    out = dealt.mapInArrow(run, f"dst bigint, src bigint, w {'bigint' if whole else 'double'}")
-    return GraphMatrix(out, MatrixMeta(a.meta.n_rows, b.meta.n_cols))
+    kind = "bigint" if whole else "double"
+    return GraphMatrix(dealt.mapInArrow(run, f"dst bigint, src bigint, w {kind}"), MatrixMeta(a.meta.n_rows, b.meta.n_cols, kind))
 
 
 def mm_dense(a: GraphMatrix, b: GraphMatrix, left: bool) -> GraphMatrix:
