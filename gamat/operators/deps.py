@@ -13,6 +13,10 @@ from . import ops
 from ..sources.shared import reliable
 
 
+#: Diagonal blocks that are solved one after the other.
+MOST_BLOCKS = 256
+
+
 def levels(gm: GraphMatrix, most: int = 10_000) -> DataFrame:
     """id, level: 0 for vertices that depend on nothing but themselves, else one more than the highest predecessor."""
     e = gm.edges.where("dst <> src").select("dst", "src").distinct()
@@ -44,7 +48,7 @@ def tri_solve(a: GraphMatrix, b: VertexState, uplo: str = "L", unit: bool = Fals
     """x with A x = b for a triangular A. b may carry a right-hand side column c (several at once).
 
     block: ranges of `block` ids are solved one after the other, with NumPy on the diagonal block and one product with the
-    blocks below. doubling: x = (I + N)(I + N^2)(I + N^4)... D^-1 b with nilpotent N, a logarithmic number of products
+    blocks below; beyond MOST_BLOCKS such ranges doubling takes over, as each is a round of its own. doubling: x = (I + N)(I + N^2)(I + N^4)... D^-1 b with nilpotent N, a logarithmic number of products
     (unit diagonal, or real weights). level: one round per dependency level."""
     if uplo == "U":
         return flip_state(tri_solve(flipped(a.triu()), flip_state(b), "L", unit, method, block, rounds))
@@ -55,6 +59,8 @@ def tri_solve(a: GraphMatrix, b: VertexState, uplo: str = "L", unit: bool = Fals
         stored = a.edges.where("dst = src and w <> 0").select("dst").distinct().count()
         if stored < a.meta.n_rows:
             raise MatrixError(f"singular: {a.meta.n_rows - stored} zeros on the diagonal")
+    if method == "block" and a.meta.n_rows > block * MOST_BLOCKS:
+        method = "doubling"
     solve = {"block": _block, "doubling": _doubling, "level": _level}[method]
     out = solve(a, rhs, unit, block, rounds)
     return VertexState(out if multi else out.select("id", "s"), b.n)

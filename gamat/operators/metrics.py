@@ -32,6 +32,39 @@ def matrix_share(matrix_seconds: float, total_seconds: float) -> float:
     return matrix_seconds / total_seconds
 
 
+def shares(steps: dict[str, tuple], runs: int = 1) -> dict[str, float]:
+    """Share of all time that each named step takes; steps: name -> (function that makes a DataFrame, whether it is a matrix
+    operation). "matrix operations" sums the latter."""
+    took = {n: timed(make, runs) for n, (make, _) in steps.items()}
+    total = sum(took.values())
+    out = {n: t / total for n, t in took.items()}
+    return out | {"matrix operations": sum(took[n] for n, (_, is_matrix) in steps.items() if is_matrix) / total}
+
+
+def shuffled(df: DataFrame) -> tuple[int, int]:
+    """(rows, bytes) that a run of df writes into shuffles, from the plan's own counters."""
+    df.foreach(_nothing)
+    text, rows, size = [df._jdf.queryExecution().executedPlan()], 0, 0
+    while text:
+        node = text.pop()
+        name = node.nodeName()
+        inner = node.executedPlan() if name == "AdaptiveSparkPlan" else node.plan() if "QueryStage" in name else None
+        if inner is not None:
+            text.append(inner)
+            continue
+        if name == "Exchange":
+            metrics = node.metrics()
+            rows += metrics.apply("shuffleRecordsWritten").value()
+            size += metrics.apply("shuffleBytesWritten").value()
+        children = node.children()
+        text += [children.apply(i) for i in range(children.size())]
+    return rows, size
+
+
+def _nothing(row) -> None:
+    """Takes a row and does nothing with it."""
+
+
 def exchanges(df: DataFrame) -> int:
     """Exchanges in the initial physical plan: what must wait for everything before it."""
     text = df._sc._jvm.PythonSQLUtils.explainString(df._jdf.queryExecution(), "simple")
