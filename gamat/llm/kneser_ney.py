@@ -66,6 +66,12 @@ def trusted_ids(labels: DataFrame) -> DataFrame:
     return labels.where("quality = 1 and toxic = 0 and doc_id is not null").select("doc_id").distinct()
 
 
+def cut_model(df: DataFrame) -> DataFrame:
+    """`cut` for tables of the model: they are far smaller than the documents, so an eighth of the tasks writes them, into an
+    eighth of the files."""
+    return cut(df.coalesce(max(8, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")) // 8)))
+
+
 def language() -> Column:
     return F.translate(F.coalesce("lang", F.lit("<null>")), MARK, " ")
 
@@ -140,9 +146,9 @@ def train_counts(top: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(grams: n, lang, k, lp) and (contexts: n, lang, k, lg), natural logarithms, of 4-gram counts top(lang, k, c).
 
     contexts with n = 0: the logarithm of an unseen character's probability, k = 0."""
-    counts = {ORDER: cut(top)}
+    counts = {ORDER: cut_model(top)}
     for n in range(ORDER - 1, 0, -1):
-        counts[n] = cut(counts[n + 1].select("lang", low("k", n).alias("k")).groupBy("lang", "k").agg(F.count("*").alias("c")))
+        counts[n] = cut_model(counts[n + 1].select("lang", low("k", n).alias("k")).groupBy("lang", "k").agg(F.count("*").alias("c")))
     below, grams, contexts = None, [], []
     for n in range(1, ORDER + 1):
         c = counts[n]
@@ -158,7 +164,7 @@ def train_counts(top: DataFrame) -> tuple[DataFrame, DataFrame]:
         seen = c.select("lang", "k", "c", F.shiftrightunsigned("k", BITS).alias("ctx"))
         sums = seen.groupBy("lang", "ctx").agg(F.sum("c").alias("total"), *[F.count_if(F.col("c") == i).alias(f"t{i}") for i in (1, 2)], F.count_if(F.col("c") >= 3).alias("t3"))
         sums = sums.join(F.broadcast(d), "lang").withColumn("gamma", (F.col("d1") * F.col("t1") + F.col("d2") * F.col("t2") + F.col("d3") * F.col("t3")) / F.col("total"))
-        sums = cut(sums)
+        sums = cut_model(sums)
         own = F.when(F.col("c") == 1, F.col("d1")).when(F.col("c") == 2, F.col("d2")).otherwise(F.col("d3"))
         p = seen.join(sums, ["lang", "ctx"]).withColumn("p", (F.col("c") - own) / F.col("total"))
         if below is None:
@@ -167,10 +173,10 @@ def train_counts(top: DataFrame) -> tuple[DataFrame, DataFrame]:
         else:
             p = p.withColumn("suffix", low("k", n - 1)).join(below.select("lang", F.col("k").alias("suffix"), F.col("p").alias("q")), ["lang", "suffix"]).withColumn("p", F.col("p") + F.col("gamma") * F.col("q"))
             contexts.append(sums.select(F.lit(n - 1).alias("n"), "lang", F.col("ctx").alias("k"), F.log("gamma").alias("lg")))
-        below = cut(p.select("lang", "k", "p"))
+        below = cut_model(p.select("lang", "k", "p"))
         grams.append(below.select(F.lit(n).alias("n"), "lang", "k", F.log("p").alias("lp")))
     union = lambda xs: xs[0] if len(xs) == 1 else xs[0].unionByName(union(xs[1:]))
-    return cut(union(grams)), cut(union(contexts))
+    return cut_model(union(grams)), cut_model(union(contexts))
 
 
 def resolve(asked: DataFrame, grams: DataFrame, contexts: DataFrame) -> DataFrame:
@@ -191,7 +197,7 @@ def resolve(asked: DataFrame, grams: DataFrame, contexts: DataFrame) -> DataFram
         if value is not None:
             x = x.withColumn("suffix", low("k", n - 1)).join(value.select("lang", F.col("k").alias("suffix"), F.col("v").alias("below")), ["lang", "suffix"])
             below = F.col("below")
-        value = cut(x.select("lang", "k", F.coalesce(F.col("lp"), F.coalesce("lg", F.lit(0.0)) + below).alias("v")))
+        value = cut_model(x.select("lang", "k", F.coalesce(F.col("lp"), F.coalesce("lg", F.lit(0.0)) + below).alias("v")))
     return value.join(asked, ["lang", "k"])
 
 
@@ -202,8 +208,8 @@ def score(rows: DataFrame, grams: DataFrame, contexts: DataFrame, small: int = S
     them are broadcast and summed where the texts are; the rare rest is sent to its shards as (id, lang, k, c), joined
     and summed per document. Nothing is left out: with `small` = 0 everything takes the second way."""
     langs = grams.select("lang").distinct()
-    asked = cut(count_grams(rows.join(F.broadcast(langs), "lang", "left_semi")))
-    table = cut(resolve(asked, grams, contexts))
+    asked = cut_model(count_grams(rows.join(F.broadcast(langs), "lang", "left_semi")))
+    table = cut_model(resolve(asked, grams, contexts))
     total = table.count()
     edge = -1 if total <= small else table.agg(F.percentile_approx("c", max(0.0, 1 - small / total), 10000)).first()[0] if small else None
     head = table.where(F.col("c") > edge if edge is not None else F.lit(False)).select("lang", "k", "v")
@@ -280,7 +286,7 @@ def score_shards(rows: DataFrame, grams: DataFrame, contexts: DataFrame) -> Data
 def split_counts(rows: DataFrame, folds: int) -> DataFrame:
     """Counts of the models of each language: of all rows(lang, fold, text), under its own name, and of all folds but one."""
     fold = F.concat("lang", F.lit(MARK), F.col("fold").cast("string"))
-    counted = cut(count_grams(rows.select(fold.alias("lang"), "text")))
+    counted = cut_model(count_grams(rows.select(fold.alias("lang"), "text")))
     parts = F.split("lang", MARK)
     counted = counted.select(F.element_at(parts, 1).alias("lang"), F.element_at(parts, 2).cast("int").alias("fold"), "k", "c")
     models = F.array(F.col("lang"), *[F.when(F.col("fold") != f, F.concat("lang", F.lit(f"{MARK}{f}"))) for f in range(folds)])
@@ -290,7 +296,7 @@ def split_counts(rows: DataFrame, folds: int) -> DataFrame:
 
 def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, slack: float = SLACK, small: int = SMALL, folds: int = FOLDS) -> DataFrame:
     """id (digest of the row), doc_id, lang, n, perplexity, threshold, keep: for every row of docs(doc_id, lang, text)."""
-    trusted = cut(trusted_ids(labels))
+    trusted = cut_model(trusted_ids(labels))
     mark = trusted.withColumn("good", F.lit(True))
     rows = docs.select(row_id().alias("id"), "doc_id", language().alias("lang"), F.coalesce("text", F.lit("")).alias("text"))
     rows = rows.join(F.broadcast(mark) if trusted.count() <= SMALL else mark, "doc_id", "left")
