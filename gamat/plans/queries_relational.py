@@ -232,10 +232,10 @@ def _(spark, d):
     return apps.potential_energy(neighbours(spark, d), positions(spark, d), layers(spark))
 
 
-@query("app_energy_dense", sql=ENERGY.replace("having sum(a.w * b.w) >= 300000", "having sum(a.w * b.w) >= 0"))
+@query("app_energy_dense", sql=ENERGY.replace("having sum(a.w * b.w) >= 300000", "having sum(a.w * b.w) >= 1"))
 def _(spark, d):
-    """Half of all pairs are neighbours."""
-    return apps.potential_energy(neighbours(spark, d, 0.0), positions(spark, d), layers(spark))
+    """All pairs with a positive cosine are neighbours, about half of them."""
+    return apps.potential_energy(neighbours(spark, d, 1e-6), positions(spark, d), layers(spark))
 
 
 @query("app_energy_param", sql=W("mx13") + ", r as (select dst, src, w from mx4 union all select vec_id, 64, label + 1 from embeddings) select n.dst id, cast(sum(n.w * r.w) as bigint) s from mx13 n join r on n.src = r.dst group by 1")
